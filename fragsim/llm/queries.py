@@ -91,9 +91,24 @@ def op9_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     return assign_shards(table(spark, sf_dir, "documents"), shards=8)
 
 
+def op3_simhash_anchors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .simhash import near_duplicates
+
+    return near_duplicates(table(spark, sf_dir, "documents"))
+
+
+def op8_suffix_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .decontam import scan
+
+    out = scan(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+    return out.drop("spans", "items")
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_mix_sources": op1_mix_sources,
+    "op3_simhash_anchors": op3_simhash_anchors,
     "op6_exact_dedup": op6_exact_dedup,
+    "op8_suffix_decontamination": op8_suffix_decontamination,
     "op9_shards": op9_shards,
 }
 
