@@ -104,12 +104,19 @@ def op8_suffix_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.drop("spans", "items")
 
 
+def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .substring_dedup import remove_repeats
+
+    return remove_repeats(table(spark, sf_dir, "documents"), keep_text=False)
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_mix_sources": op1_mix_sources,
     "op3_simhash_anchors": op3_simhash_anchors,
     "op6_exact_dedup": op6_exact_dedup,
     "op8_suffix_decontamination": op8_suffix_decontamination,
     "op9_shards": op9_shards,
+    "op10_substring_dedup": op10_substring_dedup,
 }
 
 SQL: dict[str, str] = {"op1_mix_sources": OP1_SQL, "op6_exact_dedup": OP6_SQL}
