@@ -110,9 +110,17 @@ def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return remove_repeats(table(spark, sf_dir, "documents"), keep_text=False)
 
 
+def op4_warc_index(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .warc import archive_and_index
+
+    out = archive_and_index(table(spark, sf_dir, "pages"))
+    return out.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to", "urlkey", "captured_at", "range_no", "range_seq")
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_mix_sources": op1_mix_sources,
     "op3_simhash_anchors": op3_simhash_anchors,
+    "op4_warc_index": op4_warc_index,
     "op6_exact_dedup": op6_exact_dedup,
     "op8_suffix_decontamination": op8_suffix_decontamination,
     "op9_shards": op9_shards,
