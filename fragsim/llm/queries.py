@@ -117,11 +117,18 @@ def op4_warc_index(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to", "urlkey", "captured_at", "range_no", "range_seq")
 
 
+def op7_html_wrappers(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .html_wrappers import extract_main_text
+
+    return extract_main_text(table(spark, sf_dir, "pages"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_mix_sources": op1_mix_sources,
     "op3_simhash_anchors": op3_simhash_anchors,
     "op4_warc_index": op4_warc_index,
     "op6_exact_dedup": op6_exact_dedup,
+    "op7_html_wrappers": op7_html_wrappers,
     "op8_suffix_decontamination": op8_suffix_decontamination,
     "op9_shards": op9_shards,
     "op10_substring_dedup": op10_substring_dedup,
