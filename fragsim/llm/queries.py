@@ -123,10 +123,24 @@ def op7_html_wrappers(spark: SparkSession, sf_dir: str) -> DataFrame:
     return extract_main_text(table(spark, sf_dir, "pages"))
 
 
+def op5_byte_gru(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .langid import identify, train
+
+    docs = table(spark, sf_dir, "documents")
+    return identify(docs, train(docs))
+
+
+def op2_pii_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .pii import replace_pii
+
+    return replace_pii(table(spark, sf_dir, "documents"))
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_mix_sources": op1_mix_sources,
     "op3_simhash_anchors": op3_simhash_anchors,
     "op4_warc_index": op4_warc_index,
+    "op5_byte_gru": op5_byte_gru,
     "op6_exact_dedup": op6_exact_dedup,
     "op7_html_wrappers": op7_html_wrappers,
     "op8_suffix_decontamination": op8_suffix_decontamination,
