@@ -138,6 +138,7 @@ def op2_pii_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_mix_sources": op1_mix_sources,
+    "op2_pii_surrogates": op2_pii_surrogates,
     "op3_simhash_anchors": op3_simhash_anchors,
     "op4_warc_index": op4_warc_index,
     "op5_byte_gru": op5_byte_gru,
