@@ -6,5 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
-SQL: dict[str, str] = {}
+from fragsim.queries import filtering, preprocessing
+
+_GROUPS = (preprocessing, filtering)
+
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {k: f for g in _GROUPS for k, f in g.Q.items()}
+SQL: dict[str, str] = {k: s for g in _GROUPS for k, s in g.S.items()}
