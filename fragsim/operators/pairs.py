@@ -22,7 +22,7 @@ def checkpointed(df: DataFrame) -> DataFrame:
 
 def signature() -> Column:
     """Everything later stages depend on: bag, metrics and size."""
-    entries = F.transform(F.array_sort(F.map_entries("actions")), lambda e: F.concat_ws(":", e["key"], e["value"].cast("string")))
+    entries = F.transform(F.sort_array(F.map_entries("actions")), lambda e: F.concat_ws(":", e["key"], e["value"].cast("string")))
     return F.md5(F.concat_ws("|", F.col("metric_hash"), F.col("n_tokens").cast("string"), F.array_join(entries, ",")))
 
 
