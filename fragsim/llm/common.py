@@ -5,7 +5,12 @@ from __future__ import annotations
 import tempfile
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+#: Bits of a key filter.  Its size is fixed, so what is broadcast is at most FILTER_BITS / 64 rows of 16
+#: bytes whatever the input; a filter that fills up only lets more rows through to the exact join.
+FILTER_BITS = 1 << 23
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -54,3 +59,16 @@ def join_on(left: DataFrame, right: DataFrame, keys: list[str], how: str = "inne
         right = right.withColumnRenamed(k, f"_key_{k}")
     on = reduce(lambda a, b: a & b, (left[k].eqNullSafe(right[f"_key_{k}"]) for k in keys))
     return left.join(right, on, how).drop(*(f"_key_{k}" for k in keys))
+
+
+def key_filter(keys: DataFrame, key: Column) -> DataFrame:
+    """Bloom filter (one hash) of a column as a table: word, bits."""
+    slots = keys.select(F.pmod(F.xxhash64(key), F.lit(FILTER_BITS)).alias("slot"))
+    return slots.groupBy(F.shiftright("slot", 6).alias("_word")).agg(F.expr("bit_or(shiftleft(1L, cast(slot % 64 as int)))").alias("_bits"))
+
+
+def may_have(df: DataFrame, words: DataFrame, key: Column, flag: str = "_maybe") -> DataFrame:
+    """``df`` with a flag that is true for all keys of the filter and few others."""
+    rows = df.withColumn("_slot", F.pmod(F.xxhash64(key), F.lit(FILTER_BITS)))
+    rows = rows.join(F.broadcast(words), F.shiftright("_slot", 6) == F.col("_word"), "left")
+    return rows.withColumn(flag, F.expr("coalesce(shiftright(_bits, cast(_slot % 64 as int)) & 1 = 1, false)")).drop("_slot", "_word", "_bits")

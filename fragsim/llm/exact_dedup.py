@@ -19,12 +19,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import persist, scratch
-
-#: Bits of the filter that keeps the texts of rows without copies out of the verification. Its size is
-#: fixed, so what is broadcast is at most FILTER_BITS / 64 rows of 16 bytes whatever the input.
-FILTER_BITS = 1 << 23
-
+from .common import key_filter, may_have, persist, scratch
 
 def sha256_digest(text: Column) -> Column:
     return F.unhex(F.sha2(text, 256))
@@ -68,13 +63,10 @@ class DigestIndex:
 
     def hit_texts(self, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
         """Rows whose digest occurs more than once (with few others that pass the filter)."""
-        slot = lambda c: F.pmod(F.xxhash64(c), F.lit(FILTER_BITS))
-        hits = self.merged().where("group_size > 1").select(slot(F.col("digest")).alias("slot"))
-        words = hits.groupBy(F.shiftright("slot", 6).alias("word")).agg(F.expr("bit_or(shiftleft(1L, cast(slot % 64 as int)))").alias("bits"))
+        words = key_filter(self.merged().where("group_size > 1"), F.col("digest"))
         rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.coalesce(F.col(text_col), F.lit("")).alias("text"))
-        rows = rows.withColumn("digest", self.digest(F.col("text"))).withColumn("slot", slot(F.col("digest")))
-        found = (F.shiftright("slot", 6) == F.col("word")) & F.expr("shiftright(bits, cast(slot % 64 as int)) & 1 = 1")
-        return rows.join(F.broadcast(words), found, "left_semi").select("doc_id", "text", "digest")
+        rows = rows.withColumn("digest", self.digest(F.col("text")))
+        return may_have(rows, words, F.col("digest")).where("_maybe").drop("_maybe")
 
     def collisions(self, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
         """Byte verification: digests under which different texts were found."""

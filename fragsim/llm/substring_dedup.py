@@ -4,10 +4,14 @@ A document's windows of 50 words are found again in later documents through *anc
 grams inside a window the one with the smallest hash is the window's anchor, so equal windows have equal
 anchors at equal places, and one anchor in about 22 words stands for all windows.  A run of the index
 holds the anchors of one batch of documents, sorted by hash and immutable: hash, smallest and largest
-identifier.  A new batch is merge-joined with the historical runs; only windows whose anchor another
-document has too are looked at again: their full 128-bit window hashes are computed, the smallest
-identifier per window hash decides, and those windows' words are removed from documents with larger
-identifiers.  Compaction merges runs and keeps the smallest identifier of each hash.
+identifier.  A new batch is merge-joined with the historical runs; only anchors that another document
+has too are looked at again.  Compaction merges runs and keeps the smallest identifier of each hash.
+
+Verification has two levels.  The neighbouring windows of one anchor are a *block*; blocks with one
+anchor and one hash over all their words hold equal windows, so a document other than the smallest with
+that block loses all of them at once.  Where different blocks share an anchor (the edges of passages),
+the windows of one representative per block, its smallest document, are compared by 128-bit window
+hashes.  Together this is exact, and copies of long texts cost one row per 22 words.
 
 Batches are ranges of identifiers in rising order, so history always holds the smaller identifiers.
 Windows are judged on the input, not on what is left of it.
@@ -32,11 +36,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import persist, scratch
-from .words import NOT_BLANK, Words, chunks, mix, split_words, word_hashes
+from .common import key_filter, may_have, persist, scratch
+from .words import NOT_BLANK, Words, chunks, mix, power_table, split_words, word_hashes
 
 WINDOW, GRAM = 50, 8
-_NONE = np.uint64(0xFFFFFFFFFFFFFFFF)
 
 
 def _window_sums(hashes: np.ndarray, width: int, salt: int) -> np.ndarray:
@@ -98,44 +101,50 @@ def _anchor_rows(batches: Iterator[pa.RecordBatch], window: int, gram: int) -> I
             yield pa.RecordBatch.from_arrays([pa.array(grams[where].view(np.int64)), ids], ["h", "doc_id"])
 
 
-def _window_rows(batches: Iterator[pa.RecordBatch], window: int, gram: int) -> Iterator[pa.RecordBatch]:
-    """Full hashes of the windows whose anchor is among the shared ones of the row."""
+def _range_hashes(hashes: np.ndarray, lo: np.ndarray, hi: np.ndarray, salt: int) -> np.ndarray:
+    """Hash of the words lo .. hi - 1 of each range."""
+    power, inverse = power_table(len(hashes) + 1)
+    sums = np.zeros(len(hashes) + 1, np.uint64)
+    np.cumsum(mix(hashes + np.uint64(salt)) * power[: len(hashes)], out=sums[1:])
+    return (sums[hi] - sums[lo]) * inverse[lo]
+
+
+def _block_rows(batches: Iterator[pa.RecordBatch], window: int, gram: int) -> Iterator[pa.RecordBatch]:
+    """h (anchor), block (hash of all its words and extent), doc_id, span (first start * 2**16 + windows)."""
     for batch in batches:
-        shared_column = batch.column(2)
         for at, data, offsets in chunks(batch.column(1)):
-            n = len(offsets) - 1
             words = split_words(data, offsets, NOT_BLANK, lower=False)
             hashes = word_hashes(words)
             starts, where, grams = _anchors(words, hashes, window, gram)
-            document = np.searchsorted(words.first, starts, "right") - 1
-            part = shared_column.slice(at, n)
-            pairs = np.zeros(len(part.flatten()), [("d", np.int64), ("h", np.uint64)])
-            lengths = part.value_lengths().to_numpy(zero_copy_only=False)
-            pairs["d"], pairs["h"] = np.repeat(np.arange(n), lengths), part.flatten().to_numpy(zero_copy_only=False).view(np.uint64)
-            mine = np.zeros(len(starts), pairs.dtype)
-            mine["d"], mine["h"] = document, grams[where]
-            known = np.unique(pairs["h"])
-            slot = np.searchsorted(known, mine["h"])
-            slot[slot == len(known)] = 0
-            ok = known[slot] == mine["h"] if len(known) else np.zeros(len(starts), bool)
-            # Exact per document: (document, number of the hash) as one integer.
-            own = np.unique(pairs["d"] * (len(known) + 1) + np.searchsorted(known, pairs["h"]))
-            ok &= np.isin(document * (len(known) + 1) + slot, own)
-            starts, document = starts[ok], document[ok]
-            a, b = (_window_sums(hashes, window, s)[starts].view(np.int64) for s in (2, 3))
-            ids = batch.column(0).slice(at, n).take(pa.array(document))
-            place = starts - words.first[document]
-            yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b), ids, pa.array(place.astype(np.int64))], ["a", "b", "doc_id", "place"])
+            new = np.ones(len(starts), bool)
+            new[1:] = (where[1:] != where[:-1]) | (starts[1:] != starts[:-1] + 1)
+            first = np.flatnonzero(new)
+            count = np.diff(np.append(first, len(starts)))
+            lo, anchor = starts[first], where[first]
+            extent = ((anchor - lo) * (window + 1) + count).astype(np.uint64)
+            block = mix(_range_hashes(hashes, lo, lo + count - 1 + window, 4) + mix(extent))
+            document = np.searchsorted(words.first, lo, "right") - 1
+            ids = batch.column(0).slice(at, len(offsets) - 1).take(pa.array(document))
+            span = (lo - words.first[document]) * 65536 + count
+            yield pa.RecordBatch.from_arrays([pa.array(grams[anchor].view(np.int64)), pa.array(block.view(np.int64)), ids, pa.array(span)], ["h", "block", "doc_id", "span"])
 
 
-def _ranges(places: np.ndarray, window: int) -> list[tuple[int, int]]:
-    """Union of [p, p + window) over sorted places."""
-    if not len(places):
-        return []
-    cut = np.flatnonzero(np.diff(places) > window)
-    first = places[np.concatenate([[0], cut + 1])]
-    last = places[np.concatenate([cut, [len(places) - 1]])] + window
-    return list(zip(first.tolist(), last.tolist(), strict=True))
+def _window_rows(batches: Iterator[pa.RecordBatch], window: int) -> Iterator[pa.RecordBatch]:
+    """128-bit hashes of the windows in the row's spans."""
+    for batch in batches:
+        for at, data, offsets in chunks(batch.column(1)):
+            n = len(offsets) - 1
+            words = split_words(data, offsets, NOT_BLANK, lower=False)
+            hashes = word_hashes(words)
+            part = batch.column(2).slice(at, n)
+            spans = part.flatten().to_numpy(zero_copy_only=False)
+            document = np.repeat(np.arange(n), part.value_lengths().to_numpy(zero_copy_only=False))
+            lo, count = words.first[document] + spans // 65536, spans % 65536
+            nth = np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)
+            starts, document = np.repeat(lo, count) + nth, np.repeat(document, count)
+            a, b = (_window_sums(hashes, window, s)[starts].view(np.int64) for s in (2, 3))
+            ids = batch.column(0).slice(at, n).take(pa.array(document))
+            yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b), ids, pa.array((starts - words.first[document]).astype(np.int64))], ["a", "b", "doc_id", "place"])
 
 
 def _kept(batches: Iterator[pa.RecordBatch], window: int) -> Iterator[pa.RecordBatch]:
@@ -147,7 +156,8 @@ def _kept(batches: Iterator[pa.RecordBatch], window: int) -> Iterator[pa.RecordB
             runs = runs.as_py() or []
             if runs:
                 covered = np.zeros(len(words) + 1, np.int64)
-                pairs = np.array([(r["lo"], r["hi"] + window) for r in runs])
+                spans = np.array(runs)
+                pairs = np.stack([spans // 65536, spans // 65536 + spans % 65536 - 1 + window], axis=1)
                 np.add.at(covered, pairs[:, 0], 1)
                 np.add.at(covered, pairs[:, 1], -1)
                 gone_flags = np.cumsum(covered[:-1]) > 0
@@ -215,26 +225,27 @@ def remove_repeats(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, batc
     if batches > 2:
         index.compact()
     shared = persist(index.shared(), "shared")
-    # Which documents have which shared anchors: their anchors are computed again, not stored.
-    mine = rows.mapInArrow(partial(_anchor_rows, window=window, gram=gram), "h long, doc_id long").join(shared, "h").distinct()
-    anchored = persist(mine.groupBy("doc_id").agg(F.collect_list("h").alias("shared")), "anchored")
-    windows = rows.join(anchored, "doc_id").select("doc_id", "text", "shared")
-    windows = windows.mapInArrow(partial(_window_rows, window=window, gram=gram), "a long, b long, doc_id long, place long")
+    blocks = rows.mapInArrow(partial(_block_rows, window=window, gram=gram), "h long, block long, doc_id long, span long")
+    blocks = persist(blocks.join(shared, "h"), "blocks")
+    classes = persist(blocks.groupBy("h", "block").agg(F.min("doc_id").alias("first_id"), F.max("doc_id").alias("last_id")), "classes")
+    again = classes.where("first_id < last_id").select("h", "block", "first_id")
+    whole = blocks.join(again, ["h", "block"]).where("doc_id > first_id").select("doc_id", "span")
+    # Edges of passages: anchors with different blocks, one representative each.
+    edges = classes.groupBy("h").agg(F.count("*").alias("n")).where("n > 1").select("h")
+    sides = classes.join(edges, "h").select("h", "block", F.col("first_id").alias("doc_id"))
+    wanted = blocks.join(sides, ["h", "block", "doc_id"]).groupBy("doc_id").agg(F.collect_set("span").alias("spans"))
+    wanted = persist(wanted, "wanted")
+    texts = may_have(rows, key_filter(wanted, F.col("doc_id")), F.col("doc_id")).where("_maybe").drop("_maybe")
+    windows = texts.join(wanted, "doc_id").select("doc_id", "text", "spans").mapInArrow(partial(_window_rows, window=window), "a long, b long, doc_id long, place long")
     windows = persist(windows, "windows")
     first = windows.groupBy("a", "b").agg(F.min("doc_id").alias("first_id"), F.max("doc_id").alias("last_id")).where("first_id < last_id").drop("last_id")
-    gone = windows.join(first, ["a", "b"]).where("doc_id > first_id").select("doc_id", "place").distinct()
-    runs = persist(_merge_runs(gone), "gone")
-    out = rows.join(runs, "doc_id", "left").select("doc_id", "text", "gone")
+    single = windows.join(first, ["a", "b"]).where("doc_id > first_id").select("doc_id", (F.col("place") * 65536 + 1).alias("span"))
+    gone = persist(whole.unionByName(single).groupBy("doc_id").agg(F.collect_set("span").alias("gone")), "gone")
+    # Documents that certainly lose nothing need no join; only the others are moved.
+    marked = may_have(rows, key_filter(gone, F.col("doc_id")), F.col("doc_id"))
+    intact = marked.where("not _maybe").select("doc_id", "text", F.lit(None).cast("array<long>").alias("gone"))
+    moved = marked.where("_maybe").join(gone, "doc_id", "left").select("doc_id", "text", "gone")
+    out = intact.unionByName(moved)
     out = out.mapInArrow(partial(_kept, window=window), "doc_id long, n_words long, n_removed long, kept_sha256 string, kept_text string")
     out = out.withColumn("doc_id", F.when(F.col("doc_id") == floor, None).otherwise(F.col("doc_id")))
     return out if keep_text else out.drop("kept_text")
-
-
-def _merge_runs(gone: DataFrame) -> DataFrame:
-    """doc_id, gone: runs lo..hi of window starts that go, per document."""
-    from pyspark.sql.window import Window
-
-    ordered = Window.partitionBy("doc_id").orderBy("place")
-    run = gone.withColumn("run", F.col("place") - F.row_number().over(ordered))
-    runs = run.groupBy("doc_id", "run").agg(F.min("place").alias("lo"), F.max("place").alias("hi"))
-    return runs.groupBy("doc_id").agg(F.collect_list(F.struct("lo", "hi")).alias("gone"))

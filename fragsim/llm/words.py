@@ -79,7 +79,7 @@ _MULTIPLIER = np.uint64(0x9E3779B97F4A7C15 | 1)
 _powers: dict[int, tuple[np.ndarray, np.ndarray]] = {}
 
 
-def _power_table(n: int) -> tuple[np.ndarray, np.ndarray]:
+def power_table(n: int) -> tuple[np.ndarray, np.ndarray]:
     """Powers of the multiplier and of its inverse modulo 2**64."""
     size = max(CHUNK_BYTES + 1, n)
     if size not in _powers:
@@ -104,7 +104,7 @@ def mix(x: np.ndarray) -> np.ndarray:
 
 def word_hashes(words: Words) -> np.ndarray:
     """64-bit hash of every word, the same in every chunk."""
-    power, inverse = _power_table(len(words.data) + 1)
+    power, inverse = power_table(len(words.data) + 1)
     sums = np.zeros(len(words.data) + 1, np.uint64)
     np.cumsum((words.data.astype(np.uint64) + np.uint64(1)) * power[: len(words.data)], out=sums[1:])
     return mix((sums[words.end] - sums[words.start]) * inverse[words.start] + (words.end - words.start).astype(np.uint64))

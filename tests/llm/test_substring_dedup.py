@@ -21,7 +21,8 @@ def test_query_equals_brute_force(spark, sf):
 def test_edge_cases_and_batches(spark):
     p = " ".join(f"w{i}" for i in range(60))
     same = "la " * 130
-    docs = [(1, None), (2, ""), (3, p), (4, "a " + p + " b"), (5, p[:150]), (6, same), (7, "x " + same), (8, p + " " + p), (9, "  " + p + "\x1c"), (10, "q" * 9_000_000), (11, " ".join(f"w{i}" for i in range(49))), (12, " ".join(f"w{i}" for i in range(1, 51)))]
+    part = " ".join(f"w{i}" for i in range(4, 57))
+    docs = [(0, part), (20, p + " mid " + p), (21, "r " + part + " mid " + part), (1, None), (2, ""), (3, p), (4, "a " + p + " b"), (5, p[:150]), (6, same), (7, "x " + same), (8, p + " " + p), (9, "  " + p + "\x1c"), (10, "q" * 9_000_000), (11, " ".join(f"w{i}" for i in range(49))), (12, " ".join(f"w{i}" for i in range(1, 51)))]
     df = spark.createDataFrame(docs, "doc_id long, text string").withColumn("gone", F.lit(1)).withColumn("shared", F.lit(1))
     want = sorted(brute.substring(docs))
     for batches in (1, 2, 3):
