@@ -217,10 +217,11 @@ def split_counts(spark, d):
     return curated(spark, d).groupBy("split", "is_clone").agg(F.count("*").alias("pairs"))
 
 
-@query("leak_check", with_("SELECT CAST(count(*) AS BIGINT) AS shared_pairs FROM spl JOIN cat ON cat.left_id = spl.l AND cat.right_id = spl.r", "spl", "cat", **CUR, **MUT))
+@query("leak_check", with_("SELECT CAST(count(*) AS BIGINT) AS shared_pairs FROM spl JOIN mut ON mut.base_id = spl.l AND mut.mutant_id = spl.r AND kind > 0", "spl", "mut", **CUR, **MUT).replace("spl AS (", "spl AS MATERIALIZED (").replace("mut AS (", "mut AS MATERIALIZED ("))
 def leak_check(spark, d):
-    t = truth(spark, d)[0].select("left_id", "right_id")
-    return curated(spark, d).select("left_id", "right_id").intersect(t).agg(F.count("*").alias("shared_pairs"))
+    t = R.mutants(table(spark, d, "documents")).where("kind > 0").select(F.col("base_id").alias("left_id"), F.col("mutant_id").alias("right_id"))
+    pairs = P.checkpointed(curated(spark, d).select("left_id", "right_id"))
+    return pairs.join(t, ["left_id", "right_id"], "left_semi").agg(F.count("*").alias("shared_pairs"))
 
 
 PRED = {"pred": (("meet",), "SELECT 100 * ov // greatest(lt, rt) AS pct, (CASE WHEN 100 * least(ln, rn) >= 90 * greatest(ln, rn) THEN 1 ELSE 0 END) AS label FROM meet WHERE 100 * ov > 10 * least(lt, rt)")}
