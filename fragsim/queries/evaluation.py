@@ -149,7 +149,9 @@ def judge_agreement(spark, d):
 
 TOKEN_SQL = {
     "tf": (("doc",), "SELECT id, u, count(*) AS f FROM (SELECT id, unnest(w) AS u FROM doc) GROUP BY ALL"),
-    "tb": (("tf",), "SELECT a.id AS l, b.id AS r, CAST(sum(least(a.f, b.f)) AS BIGINT) AS ov FROM tf a JOIN tf b ON a.u = b.u AND a.id < b.id JOIN doc x ON x.id = a.id JOIN doc y ON y.id = b.id GROUP BY a.id, b.id, len(x.w), len(y.w) HAVING 100 * sum(least(a.f, b.f)) >= 70 * greatest(len(x.w), len(y.w))"),
+    "sz": (("doc",), "SELECT id, CAST(len(w) AS BIGINT) AS n FROM doc"),
+    "tov": (("tf",), "SELECT a.id AS l, b.id AS r, CAST(sum(least(a.f, b.f)) AS BIGINT) AS ov FROM tf a JOIN tf b ON a.u = b.u AND a.id < b.id GROUP BY a.id, b.id"),
+    "tb": (("tov", "sz"), "SELECT l, r, ov FROM tov JOIN sz x ON x.id = l JOIN sz y ON y.id = r WHERE 100 * ov >= 70 * greatest(x.n, y.n)"),
 }
 
 
