@@ -163,6 +163,16 @@ def token_bag_clones(spark, d):
 STMT = r"[^.!?,;:\n]*[^.!?,;:\s][^.!?,;:\n]*"
 
 
+@query("token_bag_classes", with_("SELECT l AS left_id, r AS right_id, ov AS overlap, CAST(a.n AS BIGINT) AS left_members, CAST(b.n AS BIGINT) AS right_members FROM tb JOIN cls a ON a.id = l JOIN cls b ON b.id = r", "tb", "cls", **TOKEN_SQL,
+    cls=(("doc",), "SELECT min(id) AS id, count(*) AS n FROM doc WHERE len(w) > 0 GROUP BY list_sort(w)")))
+def token_bag_classes(spark, d):
+    """Pairs between classes of equal bags, by representative, with the sizes of the classes."""
+    pairs, members = BL.token_bag_classes(documents(spark, d))
+    n = members.groupBy("class_id").agg(F.count("*").alias("n"))
+    left, right = (n.select(F.col("class_id").alias(f"{s}_id"), F.col("n").alias(f"{s}_members")) for s in ("left", "right"))
+    return pairs.join(left, "left_id").join(right, "right_id")
+
+
 @query("norm_tokenset_clones", rf"""WITH st AS (SELECT doc_id AS id, list_transform(regexp_extract_all(lower(coalesce(text, '')), '{STMT}'), lambda x: trim(regexp_replace(regexp_replace(x, '[0-9]+', '0', 'g'), '\s+', ' ', 'g'))) AS s FROM documents),
   f AS (SELECT id, u, count(*) AS f FROM (SELECT id, unnest(s) AS u FROM st) GROUP BY ALL) SELECT a.id AS left_id, b.id AS right_id, CAST(sum(least(a.f, b.f)) AS BIGINT) AS overlap FROM f a JOIN f b ON a.u = b.u AND a.id < b.id JOIN st x ON x.id = a.id JOIN st y ON y.id = b.id
   GROUP BY a.id, b.id, len(x.s), len(y.s) HAVING 100 * sum(least(a.f, b.f)) >= 70 * greatest(len(x.s), len(y.s))""")

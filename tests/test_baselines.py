@@ -1,0 +1,42 @@
+"""Line comparison and bag detectors against plain pairing, with copies and very common lines."""
+
+import random
+
+from fragsim.operators import baselines as BL
+from fragsim.sources.prose import prose_fragments
+
+
+def lcs(a, b):
+    row = [0] * (len(b) + 1)
+    for x in a:
+        new = [0]
+        for j, y in enumerate(b):
+            new.append(row[j] + 1 if x == y else max(row[j + 1], new[-1]))
+        row = new
+    return row[-1]
+
+
+def test_line_comparison_is_lossless_for_common_lines(spark):
+    rng = random.Random(5)
+    # Every line is frequent: only six kinds, so blocking on rare lines would find nothing.
+    texts = [[rng.choice("abcdef") for _ in range(rng.randint(3, 9))] for _ in range(60)]
+    texts += [texts[0]] * 12 + [[]]
+    df = spark.createDataFrame([(i, "\n".join(t)) for i, t in enumerate(texts)], "doc_id long, text string")
+    got = {(r.left_id, r.right_id): r.similarity for r in BL.line_lcs(prose_fragments(df, "doc_id", "text"), min_lines=3).collect()}
+    want = {}
+    for i, a in enumerate(texts):
+        for j in range(i + 1, len(texts)):
+            b = texts[j]
+            if min(len(a), len(b)) >= 3 and 100 * lcs(a, b) >= 70 * max(len(a), len(b)):
+                want[i, j] = round(lcs(a, b) / max(len(a), len(b)), 6)
+    assert got == want
+
+
+def test_classes_hold_every_copy_and_no_inner_pair(spark):
+    texts = ["one two three four"] * 40 + ["two one three four"] + ["one two three five"] * 3 + ["", "other words entirely here"]
+    frags = prose_fragments(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string"), "doc_id", "text")
+    pairs, members = BL.token_bag_classes(frags)
+    assert {(r.left_id, r.right_id, r.overlap) for r in pairs.collect()} == {(0, 41, 3)}
+    owner = {r.fragment_id: r.class_id for r in members.collect()}
+    assert owner == {i: 0 if i <= 40 else 41 if i <= 43 else 45 for i in range(46) if i != 44}
+    assert BL.token_bag(frags).count() == 41 * 40 // 2 + 3 + 41 * 3
