@@ -71,11 +71,14 @@ def meetings(banded: DataFrame, cfg: DetectConfig, queries: DataFrame | None = N
     once = (F.col("q_fragment_id") < F.col("c_fragment_id")) | ~F.array_contains("q_cand_bands", F.col("c_home_band"))
     if cfg.exact_size:
         on = on & size_compatible(F.col("q_n_tokens"), F.col("c_n_tokens"), cfg.gamma_pct)
-    pairs = q.join(c, on & once)
-    if queries is not None:
+    if queries is None:
+        pairs = q.join(c, on & once)
+    else:
+        # One side of each join is the query set's, so the rest of the corpus is never paired with itself.
         asked = queries.select("fragment_id").distinct()
-        left = pairs.join(asked.withColumnRenamed("fragment_id", "q_fragment_id").withColumn("is_q", F.lit(1)), "q_fragment_id", "left")
-        pairs = left.join(asked.withColumnRenamed("fragment_id", "c_fragment_id").withColumn("is_c", F.lit(1)), "c_fragment_id", "left").where("is_q = 1 or is_c = 1")
+        q_asked, c_asked = (asked.withColumnRenamed("fragment_id", f"{s}_fragment_id") for s in "qc")
+        pairs = q.join(q_asked, "q_fragment_id", "left_semi").join(c, on & once)
+        pairs = pairs.unionByName(q.join(q_asked, "q_fragment_id", "left_anti").join(c.join(c_asked, "c_fragment_id", "left_semi"), on & once))
     summed = pairs.groupBy("q_fragment_id", "c_fragment_id").agg(
         F.sum(contribution(F.col("q_f"), F.col("c_f"), cfg.element)).alias("overlap"), F.first("q_action_total").alias("q_total"), F.first("c_action_total").alias("c_total")
     )
