@@ -82,9 +82,21 @@ def passages(documents: DataFrame, benchmark: DataFrame) -> DataFrame:
     """item_id, doc_id where a benchmark text stands verbatim in a document.
 
     The benchmark is a fixed evaluation set; its size is left to the engine's broadcast check.
+    The words inside an item, between its first and its last when these touch its ends, are whole words of
+    every text that holds it; up to five of them are looked up among the windows of that many words.  Items
+    without such a word are searched in every document.
     """
-    words = lambda c: F.regexp_extract_all(F.lower(c), F.lit(r"[\p{L}\p{N}_]+"), F.lit(0))
-    items = benchmark.select("item_id", F.col("text").alias("item"), F.array_join(F.slice(words(F.col("text")), 1, 5), " ").alias("head")).where("item <> ''")
+    words = lambda c: F.regexp_extract_all(c, F.lit(r"[\p{L}\p{N}_]+"), F.lit(0))
+    inner = F.regexp_replace("item", r"^[\p{L}\p{N}_]+|[\p{L}\p{N}_]+$", "")
+    items = benchmark.select("item_id", F.col("text").alias("item")).where("item <> ''").withColumn("head", F.slice(words(inner), 1, 5)).withColumn("n", F.size("head"))
+    sizes = sorted(r.n for r in items.where("n > 0").select("n").distinct().collect())
     docs = documents.select("doc_id", "text", words(F.col("text")).alias("w"))
-    heads = docs.select("doc_id", "text", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.size("w"), F.lit(1))), lambda i: F.array_join(F.slice(F.col("w"), i, 5), " ")))).alias("head"))
-    return heads.join(items, "head").where(F.contains(F.col("text"), F.col("item"))).select("item_id", "doc_id").distinct()
+    here = F.col("text").contains(F.col("item"))
+    out = docs.join(items.where("n = 0"), here).select("item_id", "doc_id")
+    for n in sizes:
+        places = F.when(F.size("w") >= n, F.sequence(F.lit(1), F.size("w") - (n - 1)))
+        window = lambda i: F.array_join(F.slice(F.col("w"), i, n), " ")  # noqa: B023, E731
+        heads = docs.select("doc_id", "text", F.explode(F.array_distinct(F.transform(places, window))).alias("head"))
+        listed = items.where(F.col("n") == n).select("item_id", "item", F.array_join("head", " ").alias("head"))
+        out = out.unionByName(heads.join(listed, "head").where(here).select("item_id", "doc_id"))
+    return out.distinct()
