@@ -98,15 +98,27 @@ def line_lcs(fragments: DataFrame, min_lines: int = 6, difference_pct: int = 30)
 
 
 def structure_vectors(fragments: DataFrame, min_tokens: int = 50, stride: int = 2, theta_pct: int = 85, window: int = 50) -> DataFrame:
-    """Pairs with a window each whose vectors of token kinds are near (bucketed random projections)."""
-    from pyspark.ml.feature import BucketedRandomProjectionLSH
-    from pyspark.ml.functions import array_to_vector
-
-    wins = windows_of(fragments.where(F.col("n_tokens") >= min_tokens), window, window * stride)
-    count = lambda k: F.size(F.filter("words", lambda w: F.least(F.length(w), F.lit(12)) == k)).cast("double")
-    vec = wins.select("fragment_id", "place", F.array(*(count(k) for k in range(1, 13))).alias("v"))
-    vec = vec.withColumn("features", array_to_vector("v"))
-    radius = float((1 - theta_pct / 100) * window**0.5 * 2)
-    model = BucketedRandomProjectionLSH(inputCol="features", outputCol="hashes", bucketLength=radius * 2, numHashTables=3, seed=7).fit(vec)
-    near = model.approxSimilarityJoin(vec, vec, radius, "distance").where("datasetA.fragment_id < datasetB.fragment_id")
-    return near.groupBy(F.col("datasetA.fragment_id").alias("left_id"), F.col("datasetB.fragment_id").alias("right_id")).agg(F.round(F.min("distance"), 6).alias("distance"))
+    """Pairs with a window each whose vectors of token kinds are near, with their smallest distance.
+
+    Windows step by ``stride`` tokens.  Vectors are counts with one sum, so two with squared distance s
+    become equal when at most s / 2 tokens are taken from each: joining on what remains loses no pair.
+    Equal fragments, and equal vectors, are one class.
+    """
+    radius2 = ((100 - theta_pct) / 100) ** 2 * window * 4
+    taken = min(int(radius2 / 2 + 1e-9), window)
+    long = fragments.where(F.col("n_tokens") >= min_tokens)
+    single, members = _classes(long, F.md5(F.array_join("words", " ")))
+    count = lambda k: F.size(F.filter("words", lambda w: F.least(F.length(w), F.lit(12)) == k))
+    vec = windows_of(single, window, stride).select("fragment_id", F.array(*(count(k) for k in range(1, 13))).alias("v")).distinct()
+    rest = F.array(F.col("v"))
+    for _ in range(taken):
+        less = lambda r: F.transform(F.filter(F.sequence(F.lit(0), F.lit(11)), lambda i: F.get(r, i) > 0), lambda i: F.transform(r, lambda x, j: x - (i == j).cast("int")))
+        rest = F.array_distinct(F.flatten(F.transform(rest, less)))
+    keyed = vec.select("v").distinct().select("v", F.explode(rest).alias("rest")).withColumn("rest", F.array_join("rest", ","))
+    a, b = keyed.select("rest", F.col("v").alias("x")), keyed.select("rest", F.col("v").alias("y"))
+    square = F.aggregate(F.zip_with("x", "y", lambda p, q: (p - q) * (p - q)), F.lit(0), lambda t, z: t + z)
+    near = a.join(b, "rest").where(F.col("x") <= F.col("y")).select("x", "y").distinct().withColumn("square", square).where(F.col("square") <= radius2 + 1e-9)
+    l_side, r_side = vec.select(F.col("v").alias("x"), F.col("fragment_id").alias("l")), vec.select(F.col("v").alias("y"), F.col("fragment_id").alias("r"))
+    met = near.join(l_side, "x").join(r_side, "y").where("l <> r").groupBy(F.least("l", "r").alias("left_id"), F.greatest("l", "r").alias("right_id"))
+    found = met.agg(F.round(F.sqrt(F.min("square")), 6).alias("distance"))
+    return _expand(found, members, "distance", vec.select(F.col("fragment_id").alias("class_id"), F.lit(0.0).alias("distance")).distinct())

@@ -187,7 +187,7 @@ def line_lcs_clones(spark, d):
 
 @query("structure_vectors")
 def structure_vectors(spark, d):
-    return BL.structure_vectors(documents(spark, d), theta_pct=97)
+    return BL.structure_vectors(documents(spark, d))
 
 
 @query("detector_matrix", with_("SELECT CAST(a AS INT) AS actions, CAST(t AS INT) AS token_bag, CAST(count(*) AS BIGINT) AS pairs FROM (SELECT max(a) AS a, max(t) AS t FROM (SELECT l, r, 1 AS a, 0 AS t FROM det UNION ALL SELECT l, r, 0, 1 FROM tb) GROUP BY l, r) GROUP BY ALL", "det", "tb", **SAMPLE, **TOKEN_SQL))

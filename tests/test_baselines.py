@@ -40,3 +40,20 @@ def test_classes_hold_every_copy_and_no_inner_pair(spark):
     owner = {r.fragment_id: r.class_id for r in members.collect()}
     assert owner == {i: 0 if i <= 40 else 41 if i <= 43 else 45 for i in range(46) if i != 44}
     assert BL.token_bag(frags).count() == 41 * 40 // 2 + 3 + 41 * 3
+
+
+def test_structure_vectors_equal_plain_pairing(spark):
+    rng = random.Random(9)
+    texts = [["x" * rng.randint(1, 12) for _ in range(rng.randint(40, 90))] for _ in range(8)]
+    texts += [["yy"] * k + texts[i][5:58] for i, k in ((0, 3), (1, 8), (2, 1))]  # a passage at other offsets
+    texts += [["z" * (len(w) % 12 + 1) if p % 40 == 7 else w for p, w in enumerate(t)] for t in texts[:8]] + [texts[0]] * 3
+    df = spark.createDataFrame([(i, " ".join(t)) for i, t in enumerate(texts)], "doc_id long, text string")
+    got = {(r.left_id, r.right_id): r.distance for r in BL.structure_vectors(prose_fragments(df, "doc_id", "text")).collect()}
+    vectors = [{tuple(sum(len(w) == k for w in t[p : p + 50]) for k in range(1, 13)) for p in range(0, len(t) - 49, 2)} for t in texts]
+    want = {}
+    for i, a in enumerate(vectors):
+        for j in range(i + 1, len(vectors)):
+            best = min((sum((p - q) ** 2 for p, q in zip(x, y, strict=True)) for x in a for y in vectors[j]), default=99)
+            if best**0.5 <= 0.15 * 50**0.5 * 2:
+                want[i, j] = round(best**0.5, 6)
+    assert got == want and any(0 < v for v in want.values())
