@@ -19,17 +19,18 @@ def sentences(text: Column) -> Column:
     return F.regexp_extract_all(text, F.lit(r"[^.!?]*[^.!?\s][^.!?]*[.!?]*"), F.lit(0))
 
 
-def mutants(documents: DataFrame) -> DataFrame:
-    """mutant_id, base_id, kind, text: six variants and one stranger of every tenth document.
+def mutants(documents: DataFrame, every: int = EVERY) -> DataFrame:
+    """mutant_id, base_id, kind, text: six variants and one stranger of every document whose identifier
+    ``every`` divides (10: what the SQL twins take; 1: all).
 
     The neighbour of a document is the next one (in the order of identifiers, the last one's is the
     first) with enough sentences.
     """
-    able = documents.where(F.col("doc_id") % EVERY == 0).select(F.col("doc_id").alias("base_id"), F.transform(sentences(F.coalesce("text", F.lit(""))), lambda s: F.trim(s)).alias("s"))
+    able = documents.where(F.col("doc_id") % every == 0).select(F.col("doc_id").alias("base_id"), F.transform(sentences(F.coalesce("text", F.lit(""))), lambda s: F.trim(s)).alias("s"))
     able = able.where(F.size("s") >= MIN_SENTENCES)
-    # The order of the few base documents: one in ten, identifiers only, in ranges of 1,000 of them.
+    # The order of the base documents: identifiers only, in ranges of 1,000 of them.
     ids = able.select("base_id")
-    part = F.floor(F.col("base_id") / (EVERY * 1000))
+    part = F.floor(F.col("base_id") / (every * 1000))
     inside = Window.partitionBy("part").orderBy("base_id")
     linked = ids.withColumn("part", part).withColumn("next", F.lead("base_id").over(inside))
     heads = linked.groupBy("part").agg(F.min("base_id").alias("head"))

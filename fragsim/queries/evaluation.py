@@ -61,9 +61,9 @@ MUT = {
 }
 
 
-def mutant_fragments(spark, d):
+def mutant_fragments(spark, d, every=R.EVERY):
     """Fragments of the base documents and their mutants."""
-    m = R.mutants(table(spark, d, "documents"))
+    m = R.mutants(table(spark, d, "documents"), every)
     docs = table(spark, d, "documents").join(m.select(F.col("base_id").alias("doc_id")).distinct(), "doc_id", "left_semi").select("doc_id", "text")
     rows = docs.unionByName(m.select(F.col("mutant_id").alias("doc_id"), "text"))
     return m, prose_fragments(rows, "doc_id", "text")
@@ -353,7 +353,7 @@ def vector_same_label(spark, d):
 
 def examples(spark, d):
     """Labelled mutant pairs with scaled vectors: kinds 1..5 are clones, 0 and 6 are not."""
-    m, frags = mutant_fragments(spark, d)
+    m, frags = mutant_fragments(spark, d, every=1)
     f = prose_metrics(frags)
     stats = {r["metric"]: r for r in P.scaler_stats(f).collect()}
     pairs = m.select(F.col("base_id").alias("left_id"), F.col("mutant_id").alias("right_id"), F.col("kind").isin(1, 2, 3, 4, 5).cast("int").alias("is_clone"))

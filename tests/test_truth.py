@@ -10,3 +10,10 @@ def test_passages_equal_contains(spark):
     bench = spark.createDataFrame(list(enumerate(items)), "item_id long, text string")
     got = sorted(tuple(r) for r in R.passages(docs, bench).collect())
     assert got == [(i, d) for i, x in enumerate(items) for d, t in enumerate(texts) if x and t and x in t]
+
+
+def test_every_document_gets_mutants(spark):
+    texts = [" ".join(f"Sentence{k} number{d} about thing{d * k} goes further{k}." for k in range(12)) for d in range(1, 5)]
+    docs = spark.createDataFrame(list(enumerate(texts, 11)), "doc_id long, text string")
+    assert R.mutants(docs).count() == 0
+    assert sorted((r.base_id, r.kind) for r in R.mutants(docs, 1).collect()) == [(b, k) for b in range(11, 15) for k in range(7)]
