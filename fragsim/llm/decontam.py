@@ -1,81 +1,104 @@
 """Benchmark decontamination with suffix arrays over training shards.
 
 The training text of a shard (a few megabytes of whole documents) becomes a sequence of word numbers, and
-its suffixes that can match anything are sorted into a suffix array.  Only suffixes whose first words
-start some test suffix are kept, which loses nothing: a match of two or more words starts with such a
-pair.  Every test suffix is then located by binary search; the run of equal keys holds all occurrences of
-its window, and the longest verbatim match is next to the place where it would be inserted.
+its suffixes that can match anything are sorted into a suffix array, as deep as a window.  Only suffixes
+whose first words start some test suffix are kept, which loses nothing: a match of two or more words
+starts with such a pair.  Every different test suffix is then located by two binary searches; the run
+between them holds all occurrences of its window (a shorter item is a prefix of its run).
+
+Longer matches are chains of windows that advance together in the document and in an item.  One row of
+chain lengths, indexed by test word, is carried from each hit to the next, so the longest verbatim match
+of every hit span and both its places are found without listing pairs of places.
 
 Word numbers are those of the test vocabulary (0 for any other word), found through 64-bit hashes; the
-bytes of every match are compared before it counts.  The test set is broadcast in slices of checked size;
-training documents are read once, in one pass without any shuffle.
+bytes of every matched word are compared before it counts.  The test set is indexed once and broadcast;
+above ``SLICE_BYTES`` of test text it is cut into slices, the documents are scanned once for each, and the
+findings meet by row number.  A scan has no shuffle.
 
 Defined results: null texts and texts without words have no words and no hits; test items without words
-have no windows; repeated documents are scanned each; identical test items all count; an empty table or
-an empty test set gives no hits; other columns are ignored.
+have no windows; rows that repeat an identifier are scanned each, whatever their texts; identical test
+items all count; of equally long matches in a span the first in the document, then the first item, is
+shown; an empty table or an empty test set gives no hits; other columns are ignored by ``scan`` and kept by
+``flag``.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
-from functools import partial
+from dataclasses import dataclass
+from functools import partial, reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import BooleanType, StructType
 
-from .words import ALPHANUMERIC, Words, chunks, split_words, word_hashes
+from .common import numbered, unused
+from .words import ALPHANUMERIC, Words, chunks, same_bytes, split_words, spread, word_hashes
 
 WINDOW = 10
-#: Bytes of test text that are broadcast at once; larger test sets are scanned in slices.
-SLICE_BYTES = 64 << 20
+#: Bytes of test text that are indexed and broadcast at once; larger test sets are scanned in slices.
+SLICE_BYTES = 16 << 20
+
+_SPAN = pa.struct([("start", pa.int64()), ("stop", pa.int64())])
+_MATCH = pa.struct([("item_id", pa.string()), ("item_word", pa.int64()), ("doc_word", pa.int64()), ("length", pa.int64())])
+_FOUND = "n_words long, spans array<struct<start:long,stop:long>>, items array<string>, matches array<struct<item_id:string,item_word:long,doc_word:long,length:long>>"
+
+
+def _joined(parts: list[Words]) -> Words:
+    """Words of all chunks as one."""
+    bytes_before = np.cumsum([0, *(len(w.data) for w in parts)])
+    words_before = np.cumsum([0, *(len(w.start) for w in parts)])
+    return Words(
+        np.concatenate([np.zeros(0, np.uint8), *(w.data for w in parts)]),
+        np.concatenate([np.zeros(0, np.int64), *(w.start + b for w, b in zip(parts, bytes_before, strict=False))]),
+        np.concatenate([np.zeros(0, np.int64), *(w.end + b for w, b in zip(parts, bytes_before, strict=False))]),
+        np.concatenate([np.zeros(1, np.int64), *(w.first[1:] + b for w, b in zip(parts, words_before, strict=False))]),
+    )
 
 
 class TestSuffixes:
-    """Windows of the test items as packed keys over the test vocabulary."""
+    """Windows of the test items as packed keys over the test vocabulary; built once and broadcast."""
+
+    __test__ = False
 
     def __init__(self, items: list[tuple[str, str]], window: int = WINDOW) -> None:
-        self.names = [str(k) for k, _ in items]
-        texts = pa.array([t or "" for _, t in items], pa.large_string())
-        words, owner, start = [], [], []
-        hashes = []
-        count = 0
-        for at, data, offsets in chunks(texts):
-            w = split_words(data, offsets, ALPHANUMERIC, lower=True)
-            hashes.append(word_hashes(w))
-            words += [w.word(i) for i in range(len(w.start))]
-            for d in range(len(offsets) - 1):
-                first, to = int(w.first[d]) + count, int(w.first[d + 1]) + count
-                owner += [at + d] * (to - first)
-                start += [to] * (to - first)
-            count += len(w.start)
-        self.words, self.window = words, window
-        flat = np.concatenate([*hashes, np.zeros(0, np.uint64)])
-        self.vocabulary, number = np.unique(flat, return_inverse=True)
+        items = sorted((str(k), t or "") for k, t in items)
+        self.names, self.window = [k for k, _ in items], window
+        self.words = words = _joined([split_words(data, offsets, ALPHANUMERIC, lower=True) for _, data, offsets in chunks(pa.array([t for _, t in items], pa.large_string()))])
+        count, item_size = len(words.start), np.diff(words.first)
+        for salt in range(8):
+            self.salt = salt
+            self.vocabulary, self.speller, number = np.unique(word_hashes(words, salt), return_index=True, return_inverse=True)
+            if same_bytes(words, np.arange(count), words, self.speller[number]).all():
+                break
+        else:
+            raise RuntimeError("different test words share their hashes")
         self.bits = max(1, int(len(self.vocabulary) + 1).bit_length())
         self.per_key = max(1, 64 // self.bits)
-        item_end = np.array(start, np.int64)
-        self.owner = np.array(owner, np.int64)
-        position = np.arange(count)
+        self.owner = np.repeat(np.arange(len(item_size)), item_size)
         # A window starts where ten words are left, or at the first word of a shorter item.
-        item_start = np.concatenate([[True], self.owner[1:] != self.owner[:-1]]) if count else np.zeros(0, bool)
-        item_size = np.zeros(len(items), np.int64)
-        np.add.at(item_size, self.owner, 1)
-        size = np.minimum(window, item_size[self.owner]) if count else np.zeros(0, np.int64)
-        keep = (position + size <= item_end) & ((size == window) | item_start)
-        self.at, self.size = position[keep], size[keep]
-        ids = np.concatenate([number.astype(np.uint64) + np.uint64(1), np.zeros(window, np.uint64)])
-        keyed = self.pack(ids, self.at, self.size)
-        order = np.argsort(keyed, kind="stable")
-        self.at, self.size, self.keys = self.at[order], self.size[order], keyed[order]
+        place = np.arange(count) - words.first[:-1][self.owner]
+        left = item_size[self.owner] - place
+        keep = (left >= window) | ((place == 0) & (left < window))
+        at, size = np.flatnonzero(keep), np.minimum(window, left[keep])
+        ids = np.concatenate([number.astype(np.uint64) + np.uint64(1), np.zeros(window + 1, np.uint64)])
+        keys = self.pack(ids, at, size)
+        order = np.lexsort((at, keys))
+        #: Test words at which windows start, by key; those of different window u are at[bounds[u]:bounds[u + 1]].
+        self.at = at[order]
+        self.keys, first = np.unique(keys[order], return_index=True)
+        self.bounds = np.append(first, len(at))
+        self.size = size[order][first]
+        self.top = self.pack(ids, self.at[first], self.size, fill=(1 << self.bits) - 1)
         # Heads: the first two words of each window (or the only one).
-        pair = ids[self.at] << np.uint64(32) | np.where(self.size > 1, ids[self.at + 1] if len(self.at) else ids[:0], np.uint64(0))
-        self.heads = np.unique(pair)
+        start = self.at[first]
+        self.heads = np.unique(ids[start] << np.uint64(32) | np.where(self.size > 1, ids[start + 1], np.uint64(0)))
         self.single = bool((self.size == 1).any())
 
-    def pack(self, ids: np.ndarray, at: np.ndarray, size: np.ndarray | int) -> np.ndarray:
-        """Big-endian keys of the words ids[at : at + size], zero beyond; they sort as word sequences."""
+    def pack(self, ids: np.ndarray, at: np.ndarray, size: np.ndarray | int, fill: int = 0) -> np.ndarray:
+        """Big-endian keys of the words ids[at : at + size], ``fill`` beyond; they sort as word sequences."""
         columns = -(-self.window // self.per_key)
         out = np.zeros((len(at), columns), ">u8")
         for c in range(columns):
@@ -84,163 +107,211 @@ class TestSuffixes:
                 j = c * self.per_key + k
                 value <<= np.uint64(self.bits)
                 if j < self.window:
-                    value |= np.where(j < size, ids[at + j], np.uint64(0))
+                    value |= np.where(j < size, ids[at + j], np.uint64(fill))
             out[:, c] = value
         return np.ascontiguousarray(out).view(f"S{8 * columns}").ravel()
 
+    def owners(self, window: int) -> list[str]:
+        return [self.names[o] for o in np.unique(self.owner[self.at[self.bounds[window] : self.bounds[window + 1]]])]
 
-def suffix_array(suffixes: TestSuffixes, ids: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Keys and positions of the training suffixes that start like some test suffix, sorted.
-
-    ``ids`` are the word numbers of the shard, padded with a window of zeros.
-    """
-    n = len(ids) - suffixes.window
-    at = np.flatnonzero(ids[:n])
-    pair = ids[at] << np.uint64(32)
-    known = np.isin(pair | ids[at + 1], suffixes.heads)
-    if suffixes.single:
-        known |= np.isin(pair, suffixes.heads)
-    at = at[known]
-    keys = suffixes.pack(ids, at, suffixes.window)
-    order = np.argsort(keys, kind="stable")
-    return keys[order], at[order]
-
-
-def shard_ids(suffixes: TestSuffixes, words: Words) -> tuple[np.ndarray, np.ndarray]:
-    """Test-vocabulary numbers of the words with a zero after every document, and each word's place."""
-    hashes = word_hashes(words)
-    place = np.searchsorted(suffixes.vocabulary, hashes)
-    place[place == len(suffixes.vocabulary)] = 0
-    number = np.where(suffixes.vocabulary[place] == hashes, place + 1, 0).astype(np.uint64) if len(suffixes.vocabulary) else np.zeros(len(hashes), np.uint64)
-    document = np.searchsorted(words.first, np.arange(len(hashes)), "right") - 1
-    slot = np.arange(len(hashes)) + document
-    ids = np.zeros(len(hashes) + len(words.first) + suffixes.window, np.uint64)
-    ids[slot] = number
-    return ids, slot
-
-
-def occurrences(suffixes: TestSuffixes, words: Words) -> tuple[np.ndarray, np.ndarray]:
-    """(test window, first word in the shard) of every verified occurrence."""
-    ids, slot = shard_ids(suffixes, words)
-    keys, at = suffix_array(suffixes, ids)
-    if not len(keys) or not len(suffixes.keys):
-        return np.zeros(0, np.int64), np.zeros(0, np.int64)
-    low = np.searchsorted(keys, suffixes.keys, "left")
-    full = suffixes.size == suffixes.window
-    high = np.searchsorted(keys, suffixes.keys, "right")
-    for i in np.flatnonzero(~full):  # a short item matches every suffix that starts with it
-        high[i] = low[i] + _prefix_run(suffixes, ids, at[low[i] :], int(i))
-    runs = high - low
-    window = np.repeat(np.arange(len(runs)), runs)
-    sorted_at = at[np.concatenate([np.arange(a, b) for a, b in zip(low[runs > 0], high[runs > 0], strict=True)]).astype(np.int64)] if runs.any() else np.zeros(0, np.int64)
-    first = np.searchsorted(slot, sorted_at)
-    good = np.array([_same(suffixes, words, int(w), int(f)) for w, f in zip(window, first, strict=True)], bool)
-    return window[good], first[good]
 
+@dataclass
+class Shard:
+    """Suffix array of a chunk of documents: keys in order and the words where the suffixes start."""
 
-def _prefix_run(suffixes: TestSuffixes, ids: np.ndarray, at: np.ndarray, window: int) -> int:
-    want = suffixes.pack(ids, at, int(suffixes.size[window])) == suffixes.keys[window]
-    return int(len(want) if want.all() else np.argmin(want))
+    keys: np.ndarray
+    at: np.ndarray
+    number: np.ndarray
 
 
-def _same(suffixes: TestSuffixes, words: Words, window: int, first: int) -> bool:
-    at = int(suffixes.at[window])
-    return all(words.word(first + j) == suffixes.words[at + j] for j in range(int(suffixes.size[window])))
-
-
-def _scan(batches: Iterator[pa.RecordBatch], shared, window: int) -> Iterator[pa.RecordBatch]:
-    suffixes = TestSuffixes(shared.value, window)
-    span = pa.list_(pa.struct([("start", pa.int64()), ("stop", pa.int64())]))
+def suffix_array(tests: TestSuffixes, words: Words) -> Shard:
+    """Sorted suffixes that start like some test suffix; none runs over the end of its document."""
+    hashes = word_hashes(words, tests.salt)
+    count = len(hashes)
+    if not len(tests.vocabulary):
+        return Shard(tests.keys, np.zeros(0, np.int64), np.zeros(count, np.uint64))
+    entry = np.minimum(np.searchsorted(tests.vocabulary, hashes), len(tests.vocabulary) - 1)
+    number = np.where(tests.vocabulary[entry] == hashes, entry + 1, 0).astype(np.uint64)
+    # A zero after every document and a window of zeros at the end.
+    slot = np.arange(count) + np.repeat(np.arange(len(words.first) - 1), np.diff(words.first))
+    ids = np.zeros(count + len(words.first) + tests.window, np.uint64)
+    ids[slot] = number
+    at = np.flatnonzero(number)
+    pair = number[at] << np.uint64(32)
+    known = np.isin(pair | ids[slot[at] + 1], tests.heads)
+    if tests.single:
+        known |= np.isin(pair, tests.heads)
+    at = at[known]
+    keys = tests.pack(ids, slot[at], tests.window)
+    order = np.argsort(keys, kind="stable")
+    return Shard(keys[order], at[order], number)
+
+
+def occurrences(tests: TestSuffixes, words: Words) -> tuple[np.ndarray, np.ndarray]:
+    """(different test window, first word in the chunk) of every occurrence, bytes compared, in text order."""
+    shard = suffix_array(tests, words)
+    low, high = np.searchsorted(shard.keys, tests.keys, "left"), np.searchsorted(shard.keys, tests.top, "right")
+    runs = np.maximum(high - low, 0)
+    window, first = np.repeat(np.arange(len(runs)), runs), shard.at[spread(low, runs)]
+    # Words inside some occurrence must be spelt like the vocabulary's.
+    change = np.zeros(len(words.start) + 1, np.int64)
+    np.add.at(change, first, 1)
+    np.add.at(change, first + tests.size[window], -1)
+    inside = np.flatnonzero(np.cumsum(change)[:-1])
+    bad = np.zeros(len(words.start) + 1, np.int64)
+    bad[inside + 1] = ~same_bytes(words, inside, tests.words, tests.speller[shard.number[inside].astype(np.int64) - 1])
+    bad = np.cumsum(bad)
+    good = bad[first + tests.size[window]] == bad[first]
+    order = np.lexsort((window[good], first[good]))
+    return window[good][order], first[good][order]
+
+
+class Chains:
+    """Longest matches of a chunk's hit spans, by one row of chain lengths over the test words."""
+
+    def __init__(self, tests: TestSuffixes) -> None:
+        self.tests = tests
+        self.length = np.zeros(len(tests.owner) + 1, np.int64)
+        self.seen = np.full(len(tests.owner) + 1, -2, np.int64)
+        self.base = 0
+
+    def longest(self, window: np.ndarray, first: np.ndarray, span: np.ndarray) -> dict[int, tuple[int, int, int]]:
+        """Per span: (length, first word in the chunk, first test word)."""
+        tests, best = self.tests, {}
+        for u, f, s in zip(window.tolist(), first.tolist(), span.tolist(), strict=True):
+            to = tests.at[tests.bounds[u] : tests.bounds[u + 1]]
+            n = int(tests.size[u])
+            if n < tests.window:
+                found = (n, f, int(to[0]))
+            else:
+                chain = np.where((self.seen[to - 1] == self.base + f - 1) & (tests.owner[to - 1] == tests.owner[to]), self.length[to - 1], 0) + 1
+                self.length[to], self.seen[to] = chain, self.base + f
+                k = int(chain.argmax())
+                found = (n + int(chain[k]) - 1, f - int(chain[k]) + 1, int(to[k]) - int(chain[k]) + 1)
+            have = best.get(s)
+            if have is None or (-found[0], *found[1:]) < (-have[0], *have[1:]):
+                best[s] = found
+        return best
+
+    def next_chunk(self, n_words: int) -> None:
+        self.base += n_words + 2
+
+
+def _findings(words: Words, chains: Chains) -> tuple[list, list, list]:
+    """Spans, items and longest matches of every document of a chunk."""
+    tests, n = chains.tests, len(words.first) - 1
+    spans: list[list] = [[] for _ in range(n)]
+    items: list[list] = [[] for _ in range(n)]
+    matches: list[list] = [[] for _ in range(n)]
+    window, first = occurrences(tests, words)
+    if len(first):
+        change = np.zeros(len(words.start) + 1, np.int64)
+        np.add.at(change, first, 1)
+        np.add.at(change, first + tests.size[window], -1)
+        hit = np.cumsum(change)[:-1] > 0
+        start = hit.copy()
+        start[1:] &= ~hit[:-1]
+        heads = words.first[:-1][np.diff(words.first) > 0]
+        start[heads] |= hit[heads]  # a span ends with its document
+        span = (np.cumsum(start) - 1)[first]
+        lo = np.flatnonzero(start)
+        document = np.searchsorted(words.first, lo, "right") - 1
+        stop = np.append(lo[1:], len(hit))
+        stop = np.array([a + int(np.argmin(h)) if not (h := hit[a:b]).all() else b for a, b in zip(lo, stop, strict=True)])
+        stop = np.minimum(stop, words.first[document + 1])
+        best = chains.longest(window, first, span)
+        for s, (a, b, d) in enumerate(zip(lo.tolist(), stop.tolist(), document.tolist(), strict=True)):
+            at, (length, f, t) = int(words.first[d]), best[s]
+            spans[d].append({"start": a - at, "stop": b - at})
+            owner = int(tests.owner[t])
+            matches[d].append({"item_id": tests.names[owner], "item_word": t - int(tests.words.first[owner]), "doc_word": f - at, "length": length})
+        pairs = np.unique(np.stack([document[span], window]), axis=1)
+        for d in np.unique(pairs[0]).tolist():
+            items[d] = sorted({name for u in pairs[1][pairs[0] == d] for name in tests.owners(int(u))})
+    chains.next_chunk(len(words.start))
+    return spans, items, matches
+
+
+def _scan(batches: Iterator[pa.RecordBatch], shared) -> Iterator[pa.RecordBatch]:
+    chains = Chains(shared.value)
     for batch in batches:
         for at, data, offsets in chunks(batch.column(1)):
-            n = len(offsets) - 1
             words = split_words(data, offsets, ALPHANUMERIC, lower=True)
-            found, first = occurrences(suffixes, words)
-            spans: list[list] = [[] for _ in range(n)]
-            items: list[list] = [[] for _ in range(n)]
-            if len(first):
-                change = np.zeros(len(words.start) + 1, np.int64)
-                np.add.at(change, first, 1)
-                np.add.at(change, first + suffixes.size[found], -1)
-                hit = np.concatenate([[False], np.cumsum(change)[:-1] > 0, [False]])
-                document = np.searchsorted(words.first, first, "right") - 1
-                for d in np.unique(document):
-                    a, b = int(words.first[d]), int(words.first[d + 1])
-                    inside = np.concatenate([[False], hit[a + 1 : b + 1], [False]])
-                    edge = np.flatnonzero(inside[1:] != inside[:-1])
-                    spans[d] = [{"start": int(x), "stop": int(y)} for x, y in zip(edge[::2], edge[1::2], strict=True)]
-                    items[d] = sorted({suffixes.names[i] for i in suffixes.owner[suffixes.at[found[document == d]]]})
+            spans, items, matches = _findings(words, chains)
             yield pa.RecordBatch.from_arrays(
-                [batch.column(0).slice(at, n), pa.array(np.diff(words.first)), pa.array(spans, span), pa.array(items, pa.list_(pa.string()))],
-                ["doc_id", "n_words", "spans", "items"],
+                [batch.column(0).slice(at, len(spans)), pa.array(np.diff(words.first)), pa.array(spans, pa.list_(_SPAN)), pa.array(items, pa.list_(pa.string())), pa.array(matches, pa.list_(_MATCH))],
+                ["doc_id", "n_words", "spans", "items", "matches"],
             )
 
 
-def _longest(batches: Iterator[pa.RecordBatch], shared, window: int) -> Iterator[pa.RecordBatch]:
-    """For every test window that occurs: how far its match goes on, at the best place of each shard."""
-    suffixes = TestSuffixes(shared.value, window)
-    last = np.append(np.flatnonzero(suffixes.owner[1:] != suffixes.owner[:-1]), len(suffixes.owner) - 1)
-    end_of = dict(zip(suffixes.owner[last].tolist(), (last + 1).tolist(), strict=True))
-    start_of = {o: int(np.searchsorted(suffixes.owner, o)) for o in end_of}
+def _flag(batches: Iterator[pa.RecordBatch], shared, name: str) -> Iterator[pa.RecordBatch]:
+    """Rows with a flag; the text comes last and goes."""
+    tests = shared.value
     for batch in batches:
-        for at, data, offsets in chunks(batch.column(1)):
+        own = batch.num_columns - 1
+        for at, data, offsets in chunks(batch.column(own)):
             words = split_words(data, offsets, ALPHANUMERIC, lower=True)
-            rows = []
-            for w, f in zip(*occurrences(suffixes, words), strict=True):
-                p, o = int(suffixes.at[w]), int(suffixes.owner[suffixes.at[w]])
-                d = int(np.searchsorted(words.first, f, "right")) - 1
-                n, limit = int(suffixes.size[w]), int(words.first[d + 1])
-                if p > start_of[o] and f > words.first[d] and words.word(int(f) - 1) == suffixes.words[p - 1]:
-                    continue  # inside a match that starts earlier
-                while p + n < end_of[o] and f + n < limit and words.word(int(f) + n) == suffixes.words[p + n]:
-                    n += 1
-                rows.append((suffixes.names[o], p - start_of[o], batch.column(0)[at + d].as_py(), int(f - words.first[d]), n))
-            cols = list(zip(*rows, strict=True)) if rows else [[]] * 5
-            kinds = [pa.string(), pa.int64(), pa.int64(), pa.int64(), pa.int64()]
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds, strict=True)], ["item_id", "item_word", "doc_id", "doc_word", "length"])
-
-
-def _slices(tests: DataFrame, item_col: str, text_col: str, limit: int) -> list[DataFrame]:
+            hit = np.zeros(len(offsets) - 1, bool)
+            hit[np.searchsorted(words.first, occurrences(tests, words)[1], "right") - 1] = True
+            yield pa.RecordBatch.from_arrays([*(batch.column(i).slice(at, len(hit)) for i in range(own)), pa.array(hit)], [*batch.schema.names[:own], name])
+
+
+def _shared_slices(tests: DataFrame, window: int, item_col: str, text_col: str, limit: int) -> list:
+    """Broadcast indexes of the slices, each of about ``limit`` bytes of test text."""
     total = tests.agg(F.sum(F.octet_length(text_col))).first()[0] or 0
     n = max(1, -(-total // limit))
-    return [tests.where(F.pmod(F.xxhash64(item_col), F.lit(n)) == i) if n > 1 else tests for i in range(n)]
+    rows = tests.select(F.col(item_col).cast("string"), F.col(text_col))
+    parts = [rows.where(F.pmod(F.xxhash64(*rows.columns), F.lit(n)) == i) if n > 1 else rows for i in range(n)]
+    return [tests.sparkSession.sparkContext.broadcast(TestSuffixes([(r[0], r[1]) for r in part.collect()], window)) for part in parts]
+
+
+def flag(docs: DataFrame, tests: DataFrame, name: str, window: int = WINDOW, text_col: str = "text", item_col: str = "item_id", slice_bytes: int = SLICE_BYTES) -> DataFrame:
+    """``docs`` with a flag ``name`` that is true where a test window occurs."""
+    text, row = unused([*docs.columns, name], "_text", "_row")
+    slices = _shared_slices(tests, window, item_col, text_col, slice_bytes)
 
+    def flagged(rows: DataFrame, shared) -> DataFrame:
+        schema = StructType([*rows.schema.fields]).add(name, BooleanType())
+        return rows.select(*rows.columns, F.col(text_col).alias(text)).mapInArrow(partial(_flag, shared=shared, name=name), schema)
 
-def _over_slices(docs: DataFrame, tests: DataFrame, fn, schema: str, window: int, id_col: str, text_col: str, item_col: str, limit: int) -> list[DataFrame]:
-    spark = docs.sparkSession
-    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_col)
-    out = []
-    for part in _slices(tests, item_col, text_col, limit):
-        shared = spark.sparkContext.broadcast([(r[0], r[1]) for r in part.select(F.col(item_col).cast("string"), text_col).collect()])
-        out.append(rows.mapInArrow(partial(fn, shared=shared, window=window), schema))
-    return out
+    if len(slices) == 1:
+        return flagged(docs, slices[0])
+    rows = numbered(docs, row)
+    hits = reduce(DataFrame.unionByName, (flagged(rows, s).where(F.col(name)).select(row) for s in slices)).distinct()
+    return rows.join(hits.withColumn(name, F.lit(True)), row, "left").withColumn(name, F.coalesce(name, F.lit(False))).select(*docs.columns, name)
 
 
-def longest_matches(docs: DataFrame, tests: DataFrame, window: int = WINDOW, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", slice_bytes: int = SLICE_BYTES) -> DataFrame:
-    """item_id, item_word, doc_id, doc_word, length: every maximal verbatim match of at least a window."""
-    parts = _over_slices(docs, tests, _longest, "item_id string, item_word long, doc_id long, doc_word long, length long", window, id_col, text_col, item_col, slice_bytes)
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.unionByName(p)
-    return out
+def _merged_spans(spans: Column) -> Column:
+    """Sorted spans with those that touch made one."""
+    last = lambda acc: F.element_at(acc, -1)
+    longer = lambda acc, s: F.struct(last(acc)["start"].alias("start"), F.greatest(last(acc)["stop"], s["stop"]).alias("stop"))
+    add = lambda acc, s: F.when((F.size(acc) > 0) & (last(acc)["stop"] >= s["start"]), F.concat(F.slice(acc, 1, F.size(acc) - 1), F.array(longer(acc, s)))).otherwise(F.concat(acc, F.array(s)))
+    return F.aggregate(F.array_sort(spans), F.expr("cast(array() as array<struct<start:long,stop:long>>)"), add)
 
 
 def scan(docs: DataFrame, tests: DataFrame, window: int = WINDOW, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", slice_bytes: int = SLICE_BYTES) -> DataFrame:
-    """doc_id, n_words, spans (hit word ranges), items, n_hit, n_items, items_sha256, contaminated."""
-    schema = "doc_id long, n_words long, spans array<struct<start:long,stop:long>>, items array<string>"
-    parts = _over_slices(docs, tests, _scan, schema, window, id_col, text_col, item_col, slice_bytes)
-    out = parts[0]
-    if len(parts) > 1:
-        # Slices meet per identifier and word count; rows that repeat get equal results from every slice.
-        for p in parts[1:]:
-            out = out.unionByName(p)
-        out = out.groupBy("doc_id", "n_words").agg(F.flatten(F.collect_set("spans")).alias("spans"), F.flatten(F.collect_list("items")).alias("items"), (F.count("*") / len(parts)).cast("int").alias("copies"))
-        merged = F.aggregate(
-            F.array_sort("spans"),
-            F.expr("cast(array() as array<struct<start:long,stop:long>>)"),
-            lambda acc, s: F.when((F.size(acc) > 0) & (F.element_at(acc, -1)["stop"] >= s["start"]), F.concat(F.slice(acc, 1, F.size(acc) - 1), F.array(F.struct(F.element_at(acc, -1)["start"].alias("start"), F.greatest(F.element_at(acc, -1)["stop"], s["stop"]).alias("stop"))))).otherwise(F.concat(acc, F.array(s))),
-        )
-        out = out.withColumn("spans", merged).withColumn("items", F.array_sort(F.array_distinct("items"))).withColumn("_c", F.explode(F.sequence(F.lit(1), F.col("copies")))).drop("_c", "copies")
+    """doc_id, n_words, n_hit, n_items, items_sha256, contaminated, longest (words of the longest match), spans (hit
+    word ranges), items, matches (item_id, item_word, doc_word, length of the longest match of every span)."""
+    slices = _shared_slices(tests, window, item_col, text_col, slice_bytes)
+    rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    if len(slices) == 1:
+        out = rows.mapInArrow(partial(_scan, shared=slices[0]), f"doc_id long, {_FOUND}")
+    else:
+        rows = numbered(rows, "row")
+        parts = [rows.select("row", "text").mapInArrow(partial(_scan, shared=s), f"doc_id long, {_FOUND}").withColumnRenamed("doc_id", "row") for s in slices]
+        all_of = lambda c: F.flatten(F.collect_list(c))
+        met = reduce(DataFrame.unionByName, parts).groupBy("row").agg(F.first("n_words").alias("n_words"), all_of("spans").alias("spans"), all_of("items").alias("items"), all_of("matches").alias("matches"))
+        met = met.withColumn("spans", _merged_spans(F.col("spans"))).withColumn("items", F.array_sort(F.array_distinct("items")))
+        ranked = F.transform("matches", lambda m: F.struct((-m["length"]).alias("neg"), m["doc_word"].alias("doc_word"), m["item_id"].alias("item_id"), m["item_word"].alias("item_word")))
+        met = met.withColumn("ranked", ranked)
+        first_of = lambda s: F.array_min(F.filter("ranked", lambda m: (m["doc_word"] >= s["start"]) & (m["doc_word"] < s["stop"])))
+        best = F.transform("spans", lambda s: first_of(s))
+        shown = lambda m: F.struct(m["item_id"].alias("item_id"), m["item_word"].alias("item_word"), m["doc_word"].alias("doc_word"), (-m["neg"]).alias("length"))
+        met = met.withColumn("matches", F.transform(best, shown))
+        out = rows.select("row", "doc_id").join(met, "row")
     n_hit = F.aggregate("spans", F.lit(0).cast("long"), lambda a, s: a + s["stop"] - s["start"])
-    n_items = F.size("items").cast("long")
-    return out.select("doc_id", "n_words", n_hit.alias("n_hit"), n_items.alias("n_items"), F.sha2(F.array_join("items", ","), 256).alias("items_sha256"), (n_hit > 0).alias("contaminated"), "spans", "items")
+    longest = F.coalesce(F.array_max(F.transform("matches", lambda m: m["length"])), F.lit(0).cast("long"))
+    return out.select(
+        "doc_id", "n_words", n_hit.alias("n_hit"), F.size("items").cast("long").alias("n_items"), F.sha2(F.array_join("items", ","), 256).alias("items_sha256"),
+        (n_hit > 0).alias("contaminated"), longest.alias("longest"), "spans", "items", "matches",
+    )

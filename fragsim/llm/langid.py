@@ -7,12 +7,14 @@ its whole text, its score the largest entry.
 
 Training is backpropagation through time in numpy with the Adam rule, on a sample whose size does not
 grow with the corpus: at most ``SAMPLE_DOCS`` labelled documents in all, equally many per language, each
-seen through at most ``SAMPLE_SEGMENTS`` pieces spread evenly over it.  Only rows with a language whose
-identifier has a CRC-32 not divisible by five are learned from.
+seen through at most ``SAMPLE_SEGMENTS`` pieces spread evenly over it; of more languages than half the
+sample the most frequent are learned.  Only rows with a language whose identifier has a CRC-32 not
+divisible by five are learned from.
 
 Defined results: null texts and texts without a letter are ``und`` with score 0, as is everything where
-nothing could be learned; a null identifier is neither held out nor learned from; repeated rows are
-predicted each; an empty table gives an empty result; names of other columns do not matter.
+nothing could be learned; a null identifier is neither held out nor learned from; rows that repeat an
+identifier are predicted each and learned from by text, once each; an empty table gives an empty result;
+names of other columns do not matter.
 """
 
 from __future__ import annotations
@@ -25,8 +27,10 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 from pyspark.sql.window import Window
 
+from .common import unused
 from .words import chunks
 
 SAMPLE_DOCS, SAMPLE_SEGMENTS = 1200, 16
@@ -159,18 +163,21 @@ def fit(pieces: list[bytes], labels: list[str], updates: int = UPDATES, batch: i
 
 def training_pieces(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", lang_col: str = "lang", sample: int = SAMPLE_DOCS) -> tuple[list[bytes], list[str]]:
     """The bounded sample, collected: pieces of text and their languages."""
-    usable = F.col(lang_col).isNotNull() & F.col(id_col).isNotNull() & ~held_out(id_col)
-    keys = docs.where(usable & F.col(text_col).isNotNull()).select(F.col(id_col).alias("_id"), F.col(lang_col).alias("_lang"), F.xxhash64(id_col).alias("_key"))
-    kinds = keys.select("_lang").distinct().count()
-    per_language = max(2, sample // max(1, kinds))
-    chosen = keys.withColumn("_n", F.row_number().over(Window.partitionBy("_lang").orderBy("_key", "_id"))).where(F.col("_n") <= per_language).select("_id").distinct()
-    # At most `sample` identifiers (two per language where there are more languages than that).
-    rows = docs.where(usable).join(F.broadcast(chosen), F.col(id_col) == F.col("_id"), "left_semi")
+    usable = F.col(lang_col).isNotNull() & F.col(id_col).isNotNull() & F.col(text_col).isNotNull() & ~held_out(id_col)
+    marks = [F.col(lang_col).alias("lang"), F.xxhash64(id_col).alias("k"), F.xxhash64(text_col).alias("m")]
     last = F.greatest(F.length(text_col) - TRAIN_LENGTH, F.lit(0))
     piece = F.transform(F.sequence(F.lit(0), F.lit(SAMPLE_SEGMENTS - 1)), lambda i: F.substring(F.col(text_col), (F.floor(last * i / (SAMPLE_SEGMENTS - 1)) + 1).cast("int"), F.lit(TRAIN_LENGTH)))
-    rows = rows.select(F.xxhash64(id_col).alias("k"), F.col(lang_col).alias("lang"), F.array_distinct(piece).alias("pieces")).collect()
-    rows.sort(key=lambda r: (r.k, r.lang, r.pieces))
-    pairs = [(p.encode(), r.lang) for r in rows for p in r.pieces if p]
+    keys = docs.where(usable).select(*marks)
+    kinds = [r["lang"] for r in keys.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(sample // 2).collect()]
+    if not kinds:
+        return [], []
+    chosen = keys.where(F.col("lang").isin(kinds)).withColumn("n", F.row_number().over(Window.partitionBy("lang").orderBy("k", "m")))
+    chosen = chosen.where(F.col("n") <= max(2, sample // len(kinds))).select("lang", "k", "m").distinct()
+    # At most `sample` of (language, identifier, text); rows that repeat them all count once.
+    rows = docs.where(usable).select(*marks, piece.alias("pieces")).join(F.broadcast(chosen), ["lang", "k", "m"], "left_semi")
+    rows = rows.groupBy("lang", "k", "m").agg(F.min("pieces").alias("pieces")).collect()
+    rows.sort(key=lambda r: (r.k, r.lang, r.m))
+    pairs = [(p.encode(), r.lang) for r in rows for p in dict.fromkeys(r.pieces) if p]
     return [p for p, _ in pairs], [x for _, x in pairs]
 
 
@@ -195,7 +202,7 @@ def document_probabilities(model: Model, data: np.ndarray, offsets: np.ndarray)
         s, e, d = start[at : at + width], stop[at : at + width], document[at : at + width]
         index = s[None, :] + np.arange(LENGTH)[:, None]
         live = index < e[None, :]
-        codes = np.where(live, padded[np.minimum(index, len(padded) - 1)], PAD)
+        codes = np.where(live, padded[np.minimum(index, len(padded) - 1)].astype(np.int64), PAD)  # bytes cannot hold PAD
         p = _position_probabilities(model, _steps(model, codes, keep=False)[0])
         np.add.at(sums, d, (p * live[:, None, :]).sum(axis=0, dtype=np.float64).T)
         best = p.argmax(axis=1)
@@ -204,34 +211,35 @@ def document_probabilities(model: Model, data: np.ndarray, offsets: np.ndarray)
     return sums / np.maximum(sizes, 1)[:, None], wins
 
 
-def _predict(batches: Iterator[pa.RecordBatch], shared) -> Iterator[pa.RecordBatch]:
-    """Adds lang_pred, score and position_share (share of positions labelled with lang_pred)."""
+def _predict(batches: Iterator[pa.RecordBatch], shared, names: tuple[str, str, str]) -> Iterator[pa.RecordBatch]:
+    """Adds language, score and position share (of positions labelled with it); text and the flag of letters come last."""
     model: Model = shared.value
     for batch in batches:
-        at_text, at_letter = batch.schema.get_field_index("_text"), batch.schema.get_field_index("_letter")
-        for at, data, offsets in chunks(batch.column(at_text), INFER_BYTES):
+        own = batch.num_columns - 2
+        for at, data, offsets in chunks(batch.column(own), INFER_BYTES):
             n = len(offsets) - 1
-            known = np.array(batch.column(at_letter).slice(at, n).to_pylist(), bool)
+            known = np.array(batch.column(own + 1).slice(at, n).to_pylist(), bool)
             if len(model.languages):
                 p, wins = document_probabilities(model, data, offsets)
                 best = p.argmax(axis=1)
-                names = [model.languages[b] if k else "und" for b, k in zip(best, known, strict=True)]
+                found = [model.languages[b] if k else "und" for b, k in zip(best, known, strict=True)]
                 rows = np.arange(n)
                 score = np.where(known, np.clip(p[rows, best], 0, 1), 0.0)
                 share = np.where(known, wins[rows, best] / np.maximum(np.diff(offsets), 1), 0.0)
             else:
-                names, score, share = ["und"] * n, np.zeros(n), np.zeros(n)
-            columns = [batch.column(i).slice(at, n) for i in range(batch.num_columns) if i not in (at_text, at_letter)]
-            fields = [f.name for i, f in enumerate(batch.schema) if i not in (at_text, at_letter)]
-            yield pa.RecordBatch.from_arrays([*columns, pa.array(names, pa.string()), pa.array(score), pa.array(share)], [*fields, "lang_pred", "score", "position_share"])
+                found, score, share = ["und"] * n, np.zeros(n), np.zeros(n)
+            columns = [batch.column(i).slice(at, n) for i in range(own)]
+            yield pa.RecordBatch.from_arrays([*columns, pa.array(found, pa.string()), pa.array(score), pa.array(share)], [*batch.schema.names[:own], *names])
 
 
-def identify(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text", keep_columns: bool = False) -> DataFrame:
-    """lang_pred, score and position_share of every row, with its identifier and held_out, or with
-    ``keep_columns`` with all its columns (but those of the same names)."""
+def identify(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text", keep_columns: bool = False, names: tuple[str, str, str] = ("lang_pred", "score", "position_share")) -> DataFrame:
+    """Language, score and position share of every row under ``names``, with its identifier and held_out, or
+    with ``keep_columns`` with all its columns (but those that have one of the names: pass others to keep them)."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
-    new = ("lang_pred", "score", "position_share")
-    own = [F.col(c) for c in docs.columns if c not in new] if keep_columns else [F.col(id_col).cast("long").alias("doc_id"), held_out(id_col).alias("held_out")]
-    rows = docs.select(*own, F.col(text_col).alias("_text"), F.coalesce(F.col(text_col).rlike(r"\p{L}"), F.lit(False)).alias("_letter"))
-    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema if f.name not in ("_text", "_letter"))
-    return rows.mapInArrow(partial(_predict, shared=shared), f"{fields}, lang_pred string, score double, position_share double")
+    new = [n.lower() for n in names]
+    own = [F.col(c) for c in docs.columns if c.lower() not in new] if keep_columns else [F.col(id_col).cast("long").alias("doc_id"), held_out(id_col).alias("held_out")]
+    text, letter = unused(docs.columns, "_text", "_letter")
+    rows = docs.select(*own, F.col(text_col).alias(text), F.coalesce(F.col(text_col).rlike(r"\p{L}"), F.lit(False)).alias(letter))
+    schema = StructType([f for f in rows.schema if f.name not in (text, letter)])
+    schema = schema.add(names[0], "string").add(names[1], "double").add(names[2], "double")
+    return rows.mapInArrow(partial(_predict, shared=shared, names=tuple(names)), schema)

@@ -8,14 +8,16 @@ to its capacity there.  Each leaf then yields its tokens from seeded epochs: who
 budget lasts, then the prefix of one more seeded permutation that fits.
 
 The water level of a sibling group is found in closed form with running sums over children sorted by
-capacity per weight, so nothing is collected: trees of millions of sources are ordinary tables.  The
-prefix of a leaf's last epoch is cut through 4,096 ranges of the permutation key: token sums of whole
-ranges decide all but one of them, and rows are only sorted inside that range.  A source that holds a
-third of the corpus is thus never sorted in one task.  Every step is a DataFrame operator.
+capacity per weight; nothing is collected.  One task sorts the children of one parent, a short row each
+(a million sources of one language take some 50 MB).  The prefix of a leaf's last epoch is cut through
+256 ranges of the permutation key and then 256 ranges of the one in which the budget ends: token sums of
+whole ranges decide all others, and rows are only sorted inside the last.  A source that holds a third of
+the corpus is thus never sorted in one task, nor are its ranges.  Every step is a DataFrame operator.
 
 Defined results: a null text has no tokens and is chosen at no cost with the pass or range it falls in; null
 language or source are leaves of their own (shown as null); weights that are missing count 1, weights
-that are not positive exclude the subtree; repeated rows count each; an empty table gives no rows.
+that are not positive exclude the subtree; repeated rows count each; rows without an identifier are
+permuted by their text; an empty table gives no rows; columns of other names do not matter.
 """
 
 from __future__ import annotations
@@ -29,7 +31,6 @@ from pyspark.sql.window import Window
 from .common import join_on, persist
 
 LEVELS = ("domain", "lang", "source")
-RANGES = 4096
 
 
 def token_estimate(text: Column) -> Column:
@@ -84,12 +85,24 @@ def leaf_budgets(leaves: DataFrame, budget: Column, weights: Mapping[str, Mappin
     return join_on(leaves, given, list(LEVELS)).withColumn("budget", F.floor(F.col("_g") + 1e-6).cast("long")).drop("_g")
 
 
-def permutation_key(id_col: str, epoch: Column, seed: int) -> Column:
-    return F.md5(F.concat_ws("|", F.lit(str(seed)), epoch.cast("string"), F.coalesce(F.col(id_col).cast("string"), F.lit(""))))
+def permutation_key(name: Column, epoch: Column, seed: int) -> Column:
+    return F.md5(F.concat_ws("|", F.lit(str(seed)), epoch.cast("string"), name))
 
 
-def mix_sources(docs: DataFrame, domain: Column, weights: Mapping[str, Mapping[str, float]], budget_share: float = 0.5, max_epochs: float = 2.0, seed: int = 7, id_col: str = "doc_id", text_col: str = "text", tokens: Column | None = None) -> DataFrame:
-    """One row per chosen (row, epoch): id, domain, lang, source, tokens, epoch, leaf budget.
+def _fitting(rows: DataFrame, part: str) -> tuple[DataFrame, DataFrame]:
+    """Rows of each leaf whose whole ``part`` fits into ``_rest`` in rising order, and those of the part in
+    which it ends, with what is left for them as ``_rest``."""
+    sums = rows.groupBy(*LEVELS, part).agg(F.sum("tokens").alias("_n"), F.max("_rest").alias("_r"))
+    sums = sums.withColumn("_upto", F.sum("_n").over(Window.partitionBy(*LEVELS).orderBy(part))).withColumn("_before", F.col("_upto") - F.col("_n"))
+    sums = sums.where("_before <= _r").select(*LEVELS, part, "_before", (F.col("_upto") <= F.col("_r")).alias("_fits"))
+    near = join_on(rows, sums, [*LEVELS, part])
+    cut = near.where("not _fits").withColumn("_rest", F.col("_rest") - F.col("_before"))
+    return near.where("_fits").select(*rows.columns), cut.select(*rows.columns)
+
+
+def mix_sources(docs: DataFrame, domain: Column, weights: Mapping[str, Mapping[str, float]], budget_share: float = 0.5, max_epochs: float = 2.0, seed: int = 7, id_col: str = "doc_id", text_col: str = "text", tokens: Column | None = None, row_col: str | None = None) -> DataFrame:
+    """One row per chosen (row, epoch): id, domain, lang, source, tokens, epoch, leaf budget, and _row where
+    ``row_col`` names a number that all rows have of their own.
 
     ``budget_share`` is the whole budget as a share of the corpus's tokens; a leaf is passed over at
     most ``max_epochs`` times.  The last epoch holds the longest prefix of its permutation whose tokens
@@ -97,7 +110,9 @@ def mix_sources(docs: DataFrame, domain: Column, weights: Mapping[str, Mapping[s
     """
     count = token_estimate(F.col(text_col)) if tokens is None else tokens
     lang, source = (F.col(c).cast("string") if c in docs.columns else F.lit(None).cast("string") for c in ("lang", "source"))
-    rows = docs.select(F.col(id_col).alias("doc_id"), domain.cast("string").alias("domain"), lang.alias("lang"), source.alias("source"), count.cast("long").alias("tokens"))
+    name = F.coalesce(F.col(id_col).cast("string"), F.md5(F.coalesce(F.col(text_col), F.lit(""))))
+    own = [F.col(row_col).alias("_row")] if row_col else []
+    rows = docs.select(F.col(id_col).alias("doc_id"), domain.cast("string").alias("domain"), lang.alias("lang"), source.alias("source"), count.cast("long").alias("tokens"), name.alias("_name"), *own)
     rows = persist(rows, "rows")
     leaves = rows.groupBy(*LEVELS).agg(F.sum("tokens").alias("tokens"), F.count("*").alias("docs"))
     total = leaves.agg(F.floor(F.sum("tokens") * F.lit(float(budget_share)) + 1e-6).alias("t"))
@@ -109,17 +124,14 @@ def mix_sources(docs: DataFrame, domain: Column, weights: Mapping[str, Mapping[s
     joined = join_on(rows, budgets.drop("docs", "tokens"), list(LEVELS))
     passes = joined.withColumn("epoch", F.explode(F.sequence(F.lit(0).cast("long"), F.col("_full"))))
     whole_passes = passes.where("epoch < _full")
-    last = passes.where("epoch = _full and _rest > 0").withColumn("_key", permutation_key("doc_id", F.col("epoch"), seed))
-    last = last.withColumn("_range", F.conv(F.substring("_key", 1, 3), 16, 10).cast("int"))
-    last = persist(last, "last")
-    sums = last.groupBy(*LEVELS, "_range").agg(F.sum("tokens").alias("_n"), F.max("_rest").alias("_rest"))
-    running = Window.partitionBy(*LEVELS).orderBy("_range")
-    sums = sums.withColumn("_upto", F.sum("_n").over(running)).withColumn("_before", F.col("_upto") - F.col("_n"))
-    # Ranges that fit whole, and the one in which the budget ends.
-    sums = sums.where("_before <= _rest").select(*LEVELS, "_range", "_before", (F.col("_upto") <= F.col("_rest")).alias("_fits"))
-    near = join_on(last, sums, [*LEVELS, "_range"])
-    cut = near.where("not _fits")
-    in_range = Window.partitionBy(*LEVELS).orderBy("_key", "doc_id", "tokens").rowsBetween(Window.unboundedPreceding, 0)
-    cut = cut.withColumn("_at", F.sum("tokens").over(in_range) + F.col("_before")).where("_at <= _rest")
-    columns = ["doc_id", *LEVELS, "tokens", "epoch", "budget"]
-    return whole_passes.select(*columns).unionByName(near.where("_fits").select(*columns)).unionByName(cut.select(*columns))
+    last = passes.where("epoch = _full and _rest > 0").withColumn("_key", permutation_key(F.col("_name"), F.col("epoch"), seed))
+    last = last.withColumn("_range", F.substring("_key", 1, 2)).withColumn("_fine", F.substring("_key", 3, 2))
+    wide, last = _fitting(persist(last, "last"), "_range")
+    narrow, last = _fitting(persist(last, "ends"), "_fine")
+    in_range = Window.partitionBy(*LEVELS).orderBy("_key", "doc_id", "tokens", *(["_row"] if row_col else [])).rowsBetween(Window.unboundedPreceding, 0)
+    cut = last.withColumn("_at", F.sum("tokens").over(in_range)).where("_at <= _rest")
+    columns = ["doc_id", *LEVELS, "tokens", "epoch", "budget", *(["_row"] if row_col else [])]
+    out = whole_passes.select(*columns)
+    for part in (wide, narrow, cut):
+        out = out.unionByName(part.select(*columns))
+    return out

@@ -50,8 +50,8 @@ def _fill_sql(nodes: str, parent: str, name: str) -> str:
 
 OP1_SQL = f"""
 WITH base AS (
-  SELECT doc_id, CASE WHEN n < 5 THEN 'web' WHEN n < 10 THEN 'books' WHEN n < 15 THEN 'code' ELSE 'forum' END AS domain, lang, source, tokens
-  FROM (SELECT doc_id, lang, source, (strlen(text) + 3) // 4 AS tokens, coalesce(try_cast(regexp_extract(source, '([0-9]+)$', 1) AS INT), 99) AS n FROM documents)),
+  SELECT doc_id, CASE WHEN n < 5 THEN 'web' WHEN n < 10 THEN 'books' WHEN n < 15 THEN 'code' ELSE 'forum' END AS domain, lang, source, tokens, text
+  FROM (SELECT doc_id, lang, source, text, (strlen(coalesce(text, '')) + 3) // 4 AS tokens, coalesce(try_cast(regexp_extract(source, '([0-9]+)$', 1) AS INT), 99) AS n FROM documents)),
 leaves AS (SELECT 0 AS root, domain, lang, source, CAST(sum(tokens) AS DOUBLE) AS tokens FROM base GROUP BY ALL),
 total AS (SELECT floor(sum(tokens) * {MIX_SHARE}) AS t FROM leaves),
 n1 AS (SELECT root, domain, sum(tokens) * {MIX_EPOCHS} AS c, {_case("domain", MIX_WEIGHTS["domain"])} AS w, any_value(t) AS g FROM leaves, total GROUP BY ALL),
@@ -64,7 +64,7 @@ budgets AS (SELECT domain, lang, source, CAST(floor(part + 1e-6) AS BIGINT) AS b
 fit AS (SELECT *, budget // greatest(leaf, 1) AS n_full, budget - budget // greatest(leaf, 1) * leaf AS rest FROM budgets),
 j AS (SELECT b.*, f.budget, f.n_full, f.rest FROM base b JOIN fit f USING (domain, lang, source)),
 passes AS (SELECT j.*, unnest(range(0, n_full + 1)) AS epoch FROM j),
-cut AS (SELECT *, sum(tokens) OVER (PARTITION BY domain, lang, source ORDER BY md5('{MIX_SEED}|' || epoch || '|' || doc_id), doc_id ROWS UNBOUNDED PRECEDING) AS upto
+cut AS (SELECT *, sum(tokens) OVER (PARTITION BY domain, lang, source ORDER BY md5('{MIX_SEED}|' || epoch || '|' || coalesce(CAST(doc_id AS VARCHAR), md5(coalesce(text, '')))), doc_id ROWS UNBOUNDED PRECEDING) AS upto
   FROM passes WHERE epoch = n_full AND rest > 0)
 SELECT doc_id, domain, lang, source, tokens, epoch, budget FROM passes WHERE epoch < n_full
 UNION ALL SELECT doc_id, domain, lang, source, tokens, epoch, budget FROM cut WHERE upto <= rest
@@ -101,7 +101,7 @@ def op8_suffix_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .decontam import scan
 
     out = scan(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
-    return out.drop("spans", "items")
+    return out.drop("spans", "items")  # the longest matches and their places stay
 
 
 def op10_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -12,9 +12,13 @@ logical partition and one per (shard, bucket): both are bounded by parameters.
 DataFrame operator.  A shard is permuted in ``buckets`` ranges of the random key with counted offsets, so
 that no task holds a whole shard.
 
+``assign_shards`` counts equal rows first and deals every copy by its number, so rows that repeat often
+spread as others do; ``shard_rows`` numbers the rows of the table and deals each by its number too.
+
 Defined results: a null text has size 1 and the checksum of the empty text; rows that repeat are
-interchangeable and each gets a slot of its own; an empty table gives an empty result; other columns are
-ignored by ``assign_shards`` and kept by ``shard_rows``.
+interchangeable and each gets a slot of its own; null identifiers are dealt like others; an empty table
+gives an empty result; other columns are ignored by ``assign_shards`` and kept by ``shard_rows`` (columns
+named shard or slot are replaced).
 """
 
 from __future__ import annotations
@@ -27,7 +31,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from .common import join_on, persist
+from .common import numbered, persist, unused
 
 
 def draw_hypergeometric(rng: random.Random, good: int, total: int, draws: int) -> int:
@@ -129,21 +133,22 @@ def assign_shards(docs: DataFrame, shards: int = 8, id_col: str = "doc_id", text
 
     Only identifiers, sizes and checksums are shuffled.
     """
-    out = _permuted(docs.select(*_keys(docs, id_col, text_col)), ["doc_id", "size", "text_crc32"], shards, seed, partitions, buckets)
+    # Rows that agree in all three are interchangeable: count them, then give each copy a number.
+    keys = docs.select(*_keys(docs, id_col, text_col)).groupBy("doc_id", "size", "text_crc32").agg(F.count("*").alias("n"))
+    keys = keys.select("doc_id", "size", "text_crc32", F.explode(F.expr("sequence(1L, n)")).alias("copy"))
+    out = _permuted(keys, ["doc_id", "size", "text_crc32", "copy"], shards, seed, partitions, buckets)
     return out.select("doc_id", "size", "text_crc32", F.lit("rows").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
 
 
-def shard_rows(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
+def shard_rows(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shards: int = 8, seed: int = 17, partitions: int | None = None, buckets: int | None = None) -> DataFrame:
     """``docs`` with shard and slot.  The permutations move keys only; the rows then meet their slots in
-    one exchange by identifier."""
-    keep = [c for c in docs.columns if c not in ("shard", "slot")]
-    same = Window.partitionBy("_id", "_size", "_crc")
-    id_, size, crc = _keys(docs, id_col, text_col)
-    rows = docs.select(*keep, id_.alias("_id"), size.alias("_size"), crc.alias("_crc")).withColumn("_copy", F.row_number().over(same.orderBy("_size")))
-    slots = assign_shards(docs, id_col=id_col, text_col=text_col, **options)
-    slots = slots.select(F.col("doc_id").alias("_id"), F.col("size").alias("_size"), F.col("text_crc32").alias("_crc"), "shard", "slot")
-    slots = slots.withColumn("_copy", F.row_number().over(same.orderBy("shard", "slot")))
-    return join_on(rows, slots, ["_id", "_size", "_crc", "_copy"]).select(*keep, "shard", "slot")
+    one exchange by row number."""
+    keep = [c for c in docs.columns if c.lower() not in ("shard", "slot")]
+    (row,) = unused(docs.columns, "_row")
+    rows = numbered(docs.select(*keep), row)
+    keys = rows.select(*_keys(rows, id_col, text_col), F.col(row).alias("copy"))
+    slots = _permuted(keys, ["doc_id", "size", "text_crc32", "copy"], shards, seed, partitions, buckets)
+    return rows.join(slots.select(F.col("copy").alias(row), "shard", "slot"), row).select(*keep, "shard", "slot")
 
 
 def write_shards(docs: DataFrame, path: str, **options) -> None:

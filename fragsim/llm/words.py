@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -102,9 +103,41 @@ def mix(x: np.ndarray) -> np.ndarray:
     return x ^ (x >> np.uint64(31))
 
 
-def word_hashes(words: Words) -> np.ndarray:
-    """64-bit hash of every word, the same in every chunk."""
-    power, inverse = power_table(len(words.data) + 1)
-    sums = np.zeros(len(words.data) + 1, np.uint64)
-    np.cumsum((words.data.astype(np.uint64) + np.uint64(1)) * power[: len(words.data)], out=sums[1:])
-    return mix((sums[words.end] - sums[words.start]) * inverse[words.start] + (words.end - words.start).astype(np.uint64))
+_TAIL = np.array([0, *((1 << 8 * k) - 1 for k in range(1, 9))], np.uint64)
+#: Longer words are hashed one by one.
+_LONG = 128
+
+
+def word_hashes(words: Words, salt: int = 0) -> np.ndarray:
+    """64-bit hash of every word, the same in every chunk: its 8-byte blocks are scrambled one after the other."""
+    size = words.end - words.start
+    h = mix(size.astype(np.uint64) + np.uint64((salt * 0x9E3779B97F4A7C15 + 1) % (1 << 64)))
+    padded = np.concatenate([words.data, np.zeros(8, np.uint8)])
+    blocks = np.ndarray(len(words.data) + 1, "<u8", padded, 0, (1,))
+    left, at = np.flatnonzero(size <= _LONG), 0
+    while len(left):
+        rest = size[left] - at
+        block = blocks[words.start[left] + at] & _TAIL[np.minimum(rest, 8)]
+        h[left] = mix(h[left] * _MULTIPLIER ^ block)
+        left, at = left[rest > 8], at + 8
+    for i in np.flatnonzero(size > _LONG):
+        digest = hashlib.blake2b(words.word(i), digest_size=8, salt=salt.to_bytes(8, "little")).digest()
+        h[i] = np.uint64(int.from_bytes(digest, "little"))
+    return h
+
+
+def spread(lo: np.ndarray, size: np.ndarray) -> np.ndarray:
+    """lo[0], lo[0] + 1, .. (size[0] of them), lo[1], .."""
+    size = size.astype(np.int64)
+    return np.repeat(lo - (np.cumsum(size) - size), size) + np.arange(int(size.sum()))
+
+
+def same_bytes(a: Words, i: np.ndarray, b: Words, j: np.ndarray) -> np.ndarray:
+    """Whether word i[k] of ``a`` has the bytes of word j[k] of ``b``."""
+    size = a.end[i] - a.start[i]
+    same = size == b.end[j] - b.start[j]
+    at = np.flatnonzero(same)
+    equal = a.data[spread(a.start[i[at]], size[at])] == b.data[spread(b.start[j[at]], size[at])]
+    wrong = np.repeat(at, size[at])[~equal]
+    same[wrong] = False
+    return same

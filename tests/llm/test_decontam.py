@@ -35,7 +35,46 @@ def test_edge_cases_and_slices(spark):
     assert rows(decontam.scan(d.where(F.lit(False)), b)) == []
 
 
+def test_equal_identifiers_with_different_texts(spark):
+    dirty, clean = " ".join(f"w{i}" for i in range(12)), " ".join(f"v{i}" for i in range(12))
+    d = spark.createDataFrame([(1, dirty), (1, clean), (None, dirty), (None, clean)], "doc_id long, text string")
+    b = spark.createDataFrame([(1, dirty), (2, "tiny"), (3, "q " * 11)], "item_id long, text string")
+    for limit in (1 << 20, 30):
+        got = decontam.scan(d, b, slice_bytes=limit).collect()
+        assert sorted((str(r.doc_id), r.n_words, r.n_hit) for r in got) == [("1", 12, 0), ("1", 12, 12), ("None", 12, 0), ("None", 12, 12)]
+        marked = decontam.flag(d.withColumn("_text", F.lit("own")), b, "bad", slice_bytes=limit)
+        assert sorted((r.text, r.bad, r._text) for r in marked.collect()) == sorted([(dirty, True, "own"), (clean, False, "own")] * 2)
+
+
 def test_longest_matches(spark):
     _, _, d, b = fixture(spark)
-    got = {(r.item_id, r.doc_id, r.doc_word): (r.item_word, r.length) for r in decontam.longest_matches(d, b).collect()}
-    assert got["10", 1, 1] == (0, 14) and got["10", 7, 14] == (0, 14) and got["12", 5, 0] == (0, 2)
+    whole, cut = ({(r.doc_id, r.n_words, str(r.matches)) for r in decontam.scan(d, b, slice_bytes=n).collect()} for n in (1 << 20, 40))
+    assert whole == cut
+    got = {r.doc_id: r for r in decontam.scan(d, b).collect()}
+    first = got[1].matches[0]
+    assert (first.item_id, first.item_word, first.doc_word, first.length) == ("10", 0, 1, 14) and got[1].longest == 14
+    assert [m.length for m in got[7].matches] == [14] and got[9].matches[0].doc_word == 200_000 and got[3].matches == []
+
+
+def test_longest_match_by_brute_force(spark):
+    import random
+
+    rng = random.Random(4)
+    text = lambda n: " ".join(rng.choice("ab") for _ in range(n))
+    docs, items = [(i, text(60)) for i in range(12)], [(i, text(25)) for i in range(6)]
+    d, b = spark.createDataFrame(docs, "doc_id long, text string"), spark.createDataFrame(items, "item_id long, text string")
+    got = {r.doc_id: r for r in decontam.scan(d, b, window=6).collect()}
+    for i, t in docs:
+        w, best = t.split(), 0
+        for _, x in items:
+            y = x.split()
+            for p in range(60):
+                for q in range(25):
+                    n = 0
+                    while p + n < 60 and q + n < 25 and w[p + n] == y[q + n]:
+                        n += 1
+                    best = max(best, n)
+        assert got[i].longest == (best if best >= 6 else 0)
+        for m in got[i].matches:
+            y = dict(items)[int(m.item_id)].split()
+            assert y[m.item_word : m.item_word + m.length] == w[m.doc_word : m.doc_word + m.length]

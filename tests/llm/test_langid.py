@@ -50,3 +50,39 @@ def test_edge_cases(spark):
     none = langid.identify(df, langid.train(df.where("lang is null"))).collect()
     assert {r.lang_pred for r in none} == {"und"}
     assert langid.identify(df.where(F.lit(False)), model).collect() == []
+
+
+def test_identifiers_that_repeat_with_null_texts(spark):
+    rows = [(i, t, "de" if i % 2 else "en") for i in range(30) for t in (("der die und " if i % 2 else "the and of ") * 4, None)] + [(1, "x" * n, "en") for n in range(2000)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string").withColumns({"_text": F.lit("own"), "_letter": F.lit("own"), "SCORE": F.lit(7.5)})
+    pieces, labels = langid.training_pieces(df, sample=20)
+    assert set(labels) == {"de", "en"} and len(pieces) <= 20 * langid.SAMPLE_SEGMENTS
+    many = spark.createDataFrame([(i, f"text {i}", f"l{i % 500}") for i in range(3000)], "doc_id long, text string, lang string")
+    assert len(langid.training_pieces(many, sample=40)[0]) <= 40 * langid.SAMPLE_SEGMENTS
+    out = langid.identify(df, langid.fit(pieces, labels, updates=2), keep_columns=True, names=("l", "s", "p"))
+    assert out.columns == [*df.columns, "l", "s", "p"] and {(r._text, r.SCORE) for r in out.collect()} == {("own", 7.5)}
+
+
+def test_prediction_equals_plain_recurrence():
+    """The segmented matrix form against one byte at a time with the same weights."""
+    model = langid.new_model(["a", "b", "c"], seed=3)
+    text = "Ünïcode and plain text, longer than one segment. " * 6
+    data = np.frombuffer(text.encode(), np.uint8)
+    got, _ = langid.document_probabilities(model, data, np.array([0, len(data)]))
+    sigmoid = lambda v: 1 / (1 + np.exp(-v))
+    total = np.zeros(3)
+    for at in range(0, len(data), langid.LENGTH):
+        codes = data[at : at + langid.LENGTH]
+        padded = np.concatenate([codes, np.full(langid.LENGTH - len(codes), langid.PAD)])
+        states = np.zeros((2, langid.LENGTH, langid.HIDDEN))
+        for k in (0, 1):
+            h = np.zeros(langid.HIDDEN)
+            for t in range(langid.LENGTH) if k == 0 else reversed(range(langid.LENGTH)):
+                x, g = model.x[k][:, padded[t]], model.u[k] @ h
+                z, r = sigmoid(x[: len(h)] + g[: len(h)]), sigmoid(x[len(h) : 2 * len(h)] + g[len(h) : 2 * len(h)])
+                h = z * h + (1 - z) * np.tanh(x[2 * len(h) :] + r * g[2 * len(h) :])
+                states[k, t] = h
+        for t in range(len(codes)):
+            e = np.exp(model.v @ np.concatenate([states[0, t], states[1, t]]) + model.b)
+            total += e / e.sum()
+    assert np.allclose(got[0], total / len(data), atol=1e-4)
