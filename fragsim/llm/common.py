@@ -112,7 +112,7 @@ def spread_join(left: DataFrame, right: DataFrame, keys: list[str], hot: DataFra
     """Equi-join with a ``right`` that has each key once.  Rows of the keys in ``hot`` (and of few others) are
     dealt over ``HOT_PARTS`` parts, each of which gets its copy of the right row, so no key fills a task."""
     part, flag = unused([*left.columns, *right.columns], "_part", "_hot")
-    words = persist(key_filter(hot, F.xxhash64(*keys)), "hot-keys")
+    words = key_filter(hot, F.xxhash64(*keys))
     own = F.pmod(F.xxhash64(*left.columns), F.lit(HOT_PARTS)).cast("int")
     left = may_have(left, words, F.xxhash64(*keys), flag).withColumn(part, F.when(F.col(flag), own).otherwise(0)).drop(flag)
     copies = F.when(F.col(flag), F.sequence(F.lit(0), F.lit(HOT_PARTS - 1))).otherwise(F.array(F.lit(0)))

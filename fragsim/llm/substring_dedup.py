@@ -1,45 +1,49 @@
 """Substring deduplication with a log-structured fingerprint index.
 
-A document's windows of 50 words are found again in later documents through *anchors*: of the 8-word
-grams inside a window the one with the smallest hash is the window's anchor, so equal windows have equal
-anchors at equal places, and one anchor in about 22 words stands for all windows.  A run of the index
-holds the anchors of one batch of documents, sorted by hash and immutable: hash, smallest and largest
-identifier.  A new batch is merge-joined with the historical runs; only anchors that another document
-has too are looked at again.  Compaction merges runs and keeps the smallest identifier of each hash.
-
-Verification has two levels.  The neighbouring windows of one anchor are a *block*; blocks with one
-anchor and one hash over all their words hold equal windows, so a document other than the smallest with
-that block loses all of them at once.  Where different blocks share an anchor (the edges of passages),
-the windows of one representative per block, its smallest document, are compared by 128-bit window
-hashes.  Together this is exact, and copies of long texts cost one row per 22 words.
-
-Batches are ranges of identifiers in rising order, so history always holds the smaller identifiers.
-Windows are judged on the input, not on what is left of it.
-
-Every step scales with anchors (a few bytes per 22 words) and with repeated windows; hot windows are
-combined on the map side before the shuffle and joins on them are plain equi-joins that the engine may
-split.  Texts are moved once, to meet the ranges that go.
-
-Defined results: a null text has no words; texts shorter than a window lose nothing; rows that repeat
-one identifier have no smaller identifier among themselves; a null identifier counts as the smallest; an
-empty table gives an empty result; other columns are ignored.
+Batches of documents arrive in rising order of identifiers, so history always holds the smaller ones.  A
+window of 50 words is filed under its *anchor*, the 8-word gram inside it with the smallest hash; equal
+windows have equal anchors, and one anchor in about 22 words stands for all windows.  The neighbouring
+windows of one anchor are a *block*.  An entry of the index is (anchor hash, digest of the block's words,
+smallest identifier); a *run* holds the new entries of one batch, sorted by anchor and immutable.
+
+``add`` merge-joins a batch with the runs of history by anchor and verifies what meets:
+
+* a block whose words history has, or a smaller document of the batch, goes as a whole;
+* where blocks of one anchor differ (the edges of passages), their windows are read again, one
+  representative per block, from the batch and from history, and compared window by window.
+
+Anchors only propose.  What decides is a 128-bit BLAKE2b digest of the words themselves, joined by single
+spaces: of a whole block or of a whole window.  Then the batch's new entries are flushed as a run; as soon as a
+level has ``FANOUT`` runs, they are merged into one of the next level.  The result does not depend on the
+number of batches.  Windows are judged on the input, not on what is left of it.
+
+Entries take a few bytes per 22 words; repeats are combined on the map side before any shuffle, and blocks
+that very many documents have are dealt over parts of a join.  Texts are moved once, to meet the ranges
+that go, and before only to read edges again.
+
+Defined results: a null text has no words; texts shorter than a window lose nothing; rows that repeat an
+identifier are judged each by its own text and are not smaller than one another; a null identifier counts
+as the smallest number; an empty table gives an empty result; other columns are ignored.
 """
 
 from __future__ import annotations
 
 import hashlib
 from collections.abc import Iterator
-from functools import partial
+from functools import partial, reduce
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import key_filter, may_have, persist, scratch
-from .words import NOT_BLANK, Words, chunks, mix, power_table, split_words, word_hashes
+from .common import HOT_ROWS, drop_path, key_filter, may_have, persist, scratch, spread_join, temporary
+from .words import NOT_BLANK, Words, chunks, mix, split_words, spread, word_hashes
 
 WINDOW, GRAM = 50, 8
+#: Runs of one level that are merged into one of the next.
+FANOUT = 2
+_ENTRY = "h long, block binary, first_id long"
 
 
 def _window_sums(hashes: np.ndarray, width: int, salt: int) -> np.ndarray:
@@ -47,7 +51,7 @@ def _window_sums(hashes: np.ndarray, width: int, salt: int) -> np.ndarray:
     out = np.zeros(len(hashes), np.uint64)
     salted = mix(hashes + np.uint64(salt))
     # Horner's rule by doubling: value(2n) = value(n) * b**n + value(n) shifted by n.
-    base = np.uint64(0xD6E8FEB86659FD93)
+    base = np.full(1, 0xD6E8FEB86659FD93, np.uint64)
     power, have, done = base, salted, 0
     width_left, piece_len = width, 1
     shifted = lambda x, n: np.concatenate([x[n:], np.zeros(min(n, len(x)), np.uint64)])
@@ -90,61 +94,61 @@ def _anchors(words: Words, hashes: np.ndarray, window: int, gram: int) -> tuple[
     return starts, where[starts], grams
 
 
-def _anchor_rows(batches: Iterator[pa.RecordBatch], window: int, gram: int) -> Iterator[pa.RecordBatch]:
-    for batch in batches:
-        for at, data, offsets in chunks(batch.column(1)):
-            words = split_words(data, offsets, NOT_BLANK, lower=False)
-            _, where, grams = _anchors(words, word_hashes(words), window, gram)
-            where = np.unique(where)
-            document = np.searchsorted(words.first, where, "right") - 1
-            ids = batch.column(0).slice(at, len(offsets) - 1).take(pa.array(document))
-            yield pa.RecordBatch.from_arrays([pa.array(grams[where].view(np.int64)), ids], ["h", "doc_id"])
+class _Spelled:
+    """Words of a chunk as one run of bytes with single spaces, to digest any range of words."""
+
+    def __init__(self, words: Words) -> None:
+        size = words.end - words.start
+        self.start = np.cumsum(size + 1) - (size + 1)
+        self.end = self.start + size
+        plain = np.full(int(size.sum()) + len(size), 0x20, np.uint8)
+        plain[spread(self.start, size)] = words.data[spread(words.start, size)]
+        self.data = memoryview(plain)
 
+    def digests(self, lo: np.ndarray, hi: np.ndarray) -> list[bytes]:
+        """Digests of the words lo .. hi - 1 of each range."""
+        data, blake = self.data, hashlib.blake2b
+        return [blake(data[a:b], digest_size=16).digest() for a, b in zip(self.start[lo].tolist(), self.end[hi - 1].tolist(), strict=True)]
 
-def _range_hashes(hashes: np.ndarray, lo: np.ndarray, hi: np.ndarray, salt: int) -> np.ndarray:
-    """Hash of the words lo .. hi - 1 of each range."""
-    power, inverse = power_table(len(hashes) + 1)
-    sums = np.zeros(len(hashes) + 1, np.uint64)
-    np.cumsum(mix(hashes + np.uint64(salt)) * power[: len(hashes)], out=sums[1:])
-    return (sums[hi] - sums[lo]) * inverse[lo]
+
+def _blocks(words: Words, window: int, gram: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(first start, number of windows, anchor hash) of every block."""
+    starts, where, grams = _anchors(words, word_hashes(words), window, gram)
+    new = np.ones(len(starts), bool)
+    new[1:] = (where[1:] != where[:-1]) | (starts[1:] != starts[:-1] + 1)
+    first = np.flatnonzero(new)
+    return starts[first], np.diff(np.append(first, len(starts))), grams[where[first]]
 
 
 def _block_rows(batches: Iterator[pa.RecordBatch], window: int, gram: int) -> Iterator[pa.RecordBatch]:
-    """h (anchor), block (hash of all its words and extent), doc_id, span (first start * 2**16 + windows)."""
+    """h (anchor), block (digest), id, mark, span (first start * 2**16 + windows)."""
     for batch in batches:
-        for at, data, offsets in chunks(batch.column(1)):
+        for at, data, offsets in chunks(batch.column(2)):
             words = split_words(data, offsets, NOT_BLANK, lower=False)
-            hashes = word_hashes(words)
-            starts, where, grams = _anchors(words, hashes, window, gram)
-            new = np.ones(len(starts), bool)
-            new[1:] = (where[1:] != where[:-1]) | (starts[1:] != starts[:-1] + 1)
-            first = np.flatnonzero(new)
-            count = np.diff(np.append(first, len(starts)))
-            lo, anchor = starts[first], where[first]
-            extent = ((anchor - lo) * (window + 1) + count).astype(np.uint64)
-            block = mix(_range_hashes(hashes, lo, lo + count - 1 + window, 4) + mix(extent))
+            lo, count, anchor = _blocks(words, window, gram)
+            digests = _Spelled(words).digests(lo, lo + count - 1 + window)
             document = np.searchsorted(words.first, lo, "right") - 1
-            ids = batch.column(0).slice(at, len(offsets) - 1).take(pa.array(document))
+            own = [batch.column(i).slice(at, len(offsets) - 1).take(pa.array(document)) for i in (0, 1)]
             span = (lo - words.first[document]) * 65536 + count
-            yield pa.RecordBatch.from_arrays([pa.array(grams[anchor].view(np.int64)), pa.array(block.view(np.int64)), ids, pa.array(span)], ["h", "block", "doc_id", "span"])
+            yield pa.RecordBatch.from_arrays([pa.array(anchor.view(np.int64)), pa.array(digests, pa.binary()), *own, pa.array(span)], ["h", "block", "id", "mark", "span"])
 
 
-def _window_rows(batches: Iterator[pa.RecordBatch], window: int) -> Iterator[pa.RecordBatch]:
-    """128-bit hashes of the windows in the row's spans."""
+def _window_rows(batches: Iterator[pa.RecordBatch], window: int, gram: int) -> Iterator[pa.RecordBatch]:
+    """w (digest), id, mark, place of the windows in the row's wanted blocks."""
     for batch in batches:
-        for at, data, offsets in chunks(batch.column(1)):
+        for at, data, offsets in chunks(batch.column(2)):
             n = len(offsets) - 1
             words = split_words(data, offsets, NOT_BLANK, lower=False)
-            hashes = word_hashes(words)
-            part = batch.column(2).slice(at, n)
-            spans = part.flatten().to_numpy(zero_copy_only=False)
-            document = np.repeat(np.arange(n), part.value_lengths().to_numpy(zero_copy_only=False))
-            lo, count = words.first[document] + spans // 65536, spans % 65536
-            nth = np.arange(count.sum()) - np.repeat(np.cumsum(count) - count, count)
-            starts, document = np.repeat(lo, count) + nth, np.repeat(document, count)
-            a, b = (_window_sums(hashes, window, s)[starts].view(np.int64) for s in (2, 3))
-            ids = batch.column(0).slice(at, n).take(pa.array(document))
-            yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b), ids, pa.array((starts - words.first[document]).astype(np.int64))], ["a", "b", "doc_id", "place"])
+            lo, count, _ = _blocks(words, window, gram)
+            spelled = _Spelled(words)
+            document = np.searchsorted(words.first, lo, "right") - 1
+            wanted = [set(x) for x in batch.column(3).slice(at, n).to_pylist()]
+            take = [d in wanted[k] for d, k in zip(spelled.digests(lo, lo + count - 1 + window), document.tolist(), strict=True)]
+            take = np.array(take, bool)
+            starts, document = spread(lo[take], count[take]), np.repeat(document[take], count[take])
+            own = [batch.column(i).slice(at, n).take(pa.array(document)) for i in (0, 1)]
+            place = (starts - words.first[document]).astype(np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array(spelled.digests(starts, starts + window), pa.binary()), *own, pa.array(place)], ["w", "id", "mark", "place"])
 
 
 def _kept(batches: Iterator[pa.RecordBatch], window: int) -> Iterator[pa.RecordBatch]:
@@ -173,79 +177,96 @@ def _kept(batches: Iterator[pa.RecordBatch], window: int) -> Iterator[pa.RecordB
 
 
 class FingerprintIndex:
-    """Sorted immutable runs of anchors; ``add`` takes batches of rising identifiers."""
+    """Levels of sorted immutable runs of entries; ``add`` takes batches of rising identifiers."""
 
     def __init__(self, spark: SparkSession, window: int = WINDOW, gram: int = GRAM, root: str | None = None) -> None:
         if not 1 <= gram <= window:
             raise ValueError("the gram must fit into the window")
         self.spark, self.window, self.gram = spark, window, gram
         self.root = root or scratch(spark, "anchors")
-        self.runs: list[str] = []
+        self.levels: list[list[str]] = []
         self.written = 0
 
-    def add(self, docs: DataFrame) -> DataFrame:
-        """Flush the anchors of a batch (doc_id, text) as a new run; returns the run."""
-        path = f"{self.root}/run-{self.written:05d}"
-        rows = docs.select("doc_id", "text").mapInArrow(partial(_anchor_rows, window=self.window, gram=self.gram), "h long, doc_id long")
-        run = rows.groupBy("h").agg(F.min("doc_id").alias("low"), F.max("doc_id").alias("high"))
-        run.sortWithinPartitions("h").write.parquet(path)
-        self.runs.append(path)
-        self.written += 1
-        return self.spark.read.schema("h long, low long, high long").parquet(path)
-
-    def history(self) -> DataFrame:
-        return self.spark.read.schema("h long, low long, high long").parquet(*self.runs)
-
-    def shared(self) -> DataFrame:
-        """Hashes of anchors that two documents have, over all runs."""
-        return self.history().groupBy("h").agg(F.min("low").alias("low"), F.max("high").alias("high")).where("low < high").select("h")
+    def entries(self, runs: list[str] | None = None) -> DataFrame:
+        paths = [p for level in self.levels for p in level] if runs is None else runs
+        return self.spark.read.schema(_ENTRY).parquet(*paths) if paths else self.spark.createDataFrame([], _ENTRY)
 
-    def compact(self) -> None:
-        """Merge all runs into one; the smallest identifier of each hash survives as ``low``."""
+    def _write(self, entries: DataFrame, level: int) -> None:
+        """Write a run; a full level is merged into the next (no two runs share an entry)."""
         path = f"{self.root}/run-{self.written:05d}"
-        merged = self.history().groupBy("h").agg(F.min("low").alias("low"), F.max("high").alias("high"))
-        merged.sortWithinPartitions("h").write.parquet(path)
-        self.runs, self.written = [path], self.written + 1
-
-
-def remove_repeats(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, batches: int = 2, id_col: str = "doc_id", text_col: str = "text", keep_text: bool = True) -> DataFrame:
+        self.written += 1
+        entries.repartition("h", "block").sortWithinPartitions("h", "block").write.parquet(path)
+        while len(self.levels) <= level:
+            self.levels.append([])
+        self.levels[level].append(path)
+        if len(self.levels[level]) >= FANOUT:
+            full, self.levels[level] = self.levels[level], []
+            self._write(self.entries(full), level + 1)
+            for old in full:
+                drop_path(self.spark, old)
+
+    def add(self, batch: DataFrame, known: DataFrame, after: int | None = None) -> DataFrame:
+        """Removals id, mark, span of a batch (id, mark, text) whose identifiers are all larger than ``after``, the
+        largest before; ``known`` holds the documents so far, the batch included.  The batch then belongs to history."""
+        removed = scratch(self.spark, "removed")
+        with temporary(self.spark):
+            self._removals(batch, known, after).write.parquet(removed)
+            self._write(self.fresh, 0)
+        return self.spark.read.schema("id long, mark long, span long").parquet(removed)
+
+    def _removals(self, batch: DataFrame, known: DataFrame, after: int | None) -> DataFrame:
+        cut = partial(_block_rows, window=self.window, gram=self.gram)
+        blocks = persist(batch.mapInArrow(cut, "h long, block binary, id long, mark long, span long"), "blocks")
+        classes = persist(blocks.groupBy("h", "block").agg(F.min("id").alias("first_id"), F.max("id").alias("last_id"), F.count("*").alias("n")), "classes")
+        anchors = classes.groupBy("h").agg(F.count("*").alias("n"))
+        crowded = anchors.where(F.col("n") > HOT_ROWS).select("h")
+        met = persist(spread_join(self.entries(), anchors.select("h"), ["h"], crowded, "left_semi"), "met")
+        older = met.select("h", "block", F.col("first_id").alias("old_id"))
+        judged = persist(classes.join(older, ["h", "block"], "left"), "judged")
+        self.fresh = judged.where("old_id is null").select("h", "block", "first_id")
+        # Whole blocks that an older or smaller document has.
+        again = judged.withColumn("first_id", F.coalesce("old_id", "first_id")).where("first_id < last_id")
+        hot = again.where(F.col("n") > HOT_ROWS).select("h", "block")
+        whole = spread_join(blocks, again.select("h", "block", "first_id"), ["h", "block"], hot).where("id > first_id").select("id", "mark", "span")
+        # Edges of passages: anchors with a new block beside others; one representative of each.
+        sides = self.fresh.withColumn("new", F.lit(1)).unionByName(met.withColumn("new", F.lit(0)))
+        edges = sides.groupBy("h").agg(F.count("*").alias("n"), F.max("new").alias("new")).where("n > 1 and new = 1").select("h")
+        wanted = persist(spread_join(sides, edges, ["h"], crowded, "left_semi").groupBy(F.col("first_id").alias("id")).agg(F.collect_set("block").alias("blocks")), "wanted")
+        texts = may_have(known, key_filter(wanted, F.col("id")), F.col("id")).where("_maybe").join(wanted, "id").select("id", "mark", "text", "blocks")
+        windows = persist(texts.mapInArrow(partial(_window_rows, window=self.window, gram=self.gram), "w binary, id long, mark long, place long"), "windows")
+        first = persist(windows.groupBy("w").agg(F.min("id").alias("first_id"), F.max("id").alias("last_id"), F.count("*").alias("n")).where("first_id < last_id"), "first")
+        hot = first.where(F.col("n") > HOT_ROWS).select("w")
+        single = spread_join(windows, first.select("w", "first_id"), ["w"], hot).where("id > first_id")
+        # What history loses was decided when it came; its windows only stand on the older side here.
+        single = single if after is None else single.where(F.col("id") > after)
+        return whole.unionByName(single.select("id", "mark", (F.col("place") * 65536 + 1).alias("span")))
+
+
+def remove_repeats(docs: DataFrame, window: int = WINDOW, gram: int = GRAM, batches: int = 3, id_col: str = "doc_id", text_col: str = "text", keep_text: bool = True) -> DataFrame:
     """doc_id, n_words, n_removed, kept_sha256 and (optionally) kept_text of every row.
 
-    ``batches`` splits the input into that many ranges of identifiers, added one after the other.
+    ``batches`` splits the input into that many ranges of identifiers of about equal counts, added one after
+    the other.
     """
-    spark = docs.sparkSession
     floor = -(1 << 63)
-    rows = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(floor)).alias("doc_id"), F.col(text_col).alias("text"))
-    index = FingerprintIndex(spark, window, gram)
-    ends = rows.agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).first()
-    lo, hi = ends["lo"] or 0, ends["hi"] or 0
-    cuts = [lo + (hi - lo + 1) * i // batches for i in range(batches)] + [hi + 1]
-    for a, b in zip(cuts, cuts[1:], strict=False):
-        index.add(rows.where(F.col("doc_id").between(a, b - 1)))
-    if batches > 2:
-        index.compact()
-    shared = persist(index.shared(), "shared")
-    blocks = rows.mapInArrow(partial(_block_rows, window=window, gram=gram), "h long, block long, doc_id long, span long")
-    blocks = persist(blocks.join(shared, "h"), "blocks")
-    classes = persist(blocks.groupBy("h", "block").agg(F.min("doc_id").alias("first_id"), F.max("doc_id").alias("last_id")), "classes")
-    again = classes.where("first_id < last_id").select("h", "block", "first_id")
-    whole = blocks.join(again, ["h", "block"]).where("doc_id > first_id").select("doc_id", "span")
-    # Edges of passages: anchors with different blocks, one representative each.
-    edges = classes.groupBy("h").agg(F.count("*").alias("n")).where("n > 1").select("h")
-    sides = classes.join(edges, "h").select("h", "block", F.col("first_id").alias("doc_id"))
-    wanted = blocks.join(sides, ["h", "block", "doc_id"]).groupBy("doc_id").agg(F.collect_set("span").alias("spans"))
-    wanted = persist(wanted, "wanted")
-    texts = may_have(rows, key_filter(wanted, F.col("doc_id")), F.col("doc_id")).where("_maybe").drop("_maybe")
-    windows = texts.join(wanted, "doc_id").select("doc_id", "text", "spans").mapInArrow(partial(_window_rows, window=window), "a long, b long, doc_id long, place long")
-    windows = persist(windows, "windows")
-    first = windows.groupBy("a", "b").agg(F.min("doc_id").alias("first_id"), F.max("doc_id").alias("last_id")).where("first_id < last_id").drop("last_id")
-    single = windows.join(first, ["a", "b"]).where("doc_id > first_id").select("doc_id", (F.col("place") * 65536 + 1).alias("span"))
-    gone = persist(whole.unionByName(single).groupBy("doc_id").agg(F.collect_set("span").alias("gone")), "gone")
+    own = F.col(id_col).cast("long")
+    rows = docs.select(own.alias("doc_id"), F.coalesce(own, F.lit(floor)).alias("id"), F.xxhash64(text_col).alias("mark"), F.col(text_col).alias("text"))
+    known = rows.select("id", "mark", "text")
+    index = FingerprintIndex(docs.sparkSession, window, gram)
+    shares = [i / batches for i in range(1, batches)]
+    cuts = rows.agg(F.percentile_approx("id", shares or [0.5])).first()[0] if shares else []
+    cuts = sorted(set(cuts or []))
+    removed = []
+    for low, high in zip([None, *cuts], [*cuts, None], strict=True):
+        upto = known if high is None else known.where(F.col("id") <= high)
+        batch = upto if low is None else upto.where(F.col("id") > low)
+        removed.append(index.add(batch, upto, low))
+    drop_path(docs.sparkSession, index.root)
+    gone = persist(reduce(DataFrame.unionByName, removed).groupBy("id", "mark").agg(F.collect_set("span").alias("gone")), "gone")
     # Documents that certainly lose nothing need no join; only the others are moved.
-    marked = may_have(rows, key_filter(gone, F.col("doc_id")), F.col("doc_id"))
+    marked = may_have(rows, key_filter(gone, F.col("id")), F.col("id"))
     intact = marked.where("not _maybe").select("doc_id", "text", F.lit(None).cast("array<long>").alias("gone"))
-    moved = marked.where("_maybe").join(gone, "doc_id", "left").select("doc_id", "text", "gone")
+    moved = marked.where("_maybe").join(gone, ["id", "mark"], "left").select("doc_id", "text", "gone")
     out = intact.unionByName(moved)
     out = out.mapInArrow(partial(_kept, window=window), "doc_id long, n_words long, n_removed long, kept_sha256 string, kept_text string")
-    out = out.withColumn("doc_id", F.when(F.col("doc_id") == floor, None).otherwise(F.col("doc_id")))
     return out if keep_text else out.drop("kept_text")
