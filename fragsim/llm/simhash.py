@@ -28,7 +28,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import persist
+from .common import HOT_ROWS, persist, spread_join
 from .components import connected_components
 
 SHINGLE, SEED, THRESHOLD = 3, 42, 3
@@ -166,11 +166,11 @@ def links(prints: DataFrame, threshold: int = THRESHOLD) -> DataFrame:
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE, threshold: int = THRESHOLD) -> DataFrame:
     """doc_id, fingerprint (16 hex digits), component_id (smallest identifier reachable) of every row."""
     prints = persist(fingerprints(docs, id_col, text_col, shingle), "fingerprints")
-    distinct = persist(prints.groupBy("fp").agg(F.min("doc_id").alias("first_id")), "distinct")
+    distinct = persist(prints.groupBy("fp").agg(F.min("doc_id").alias("first_id"), F.count("*").alias("n")), "distinct")
     parts = connected_components(links(distinct.select("fp"), threshold))
     rooted = distinct.join(parts.withColumnRenamed("node", "fp"), "fp").select("fp", "root", "first_id")
     of_root = rooted.groupBy("root").agg(F.min("first_id").alias("component_id"))
     linked = rooted.join(of_root, "root").select("fp", "component_id")
     owner = distinct.join(linked, "fp", "left").select("fp", F.coalesce("component_id", "first_id").alias("component_id"))
-    out = prints.join(owner, "fp")
+    out = spread_join(prints, owner, ["fp"], distinct.where(F.col("n") > HOT_ROWS))
     return out.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")

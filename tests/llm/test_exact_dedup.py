@@ -61,6 +61,14 @@ def test_runs_of_later_days_join_the_index(spark):
     assert got == {hashlib.sha256(t.encode()).digest(): v for t, v in (("a", (1, 2)), ("b", (2, 1)), ("c", (4, 1)))}
 
 
+def test_flush_probes_older_runs(spark):
+    index, rows = DigestIndex(spark), lambda *t: spark.createDataFrame(list(enumerate(t)), "doc_id long, text string")
+    hits = [{bytes(r.digest) for r in index.flush(rows(*t)).collect()} for t in (["a", "b"], ["b", "c"], ["a", "d"], ["e", "c"])]
+    of = lambda t: hashlib.sha256(t.encode()).digest()
+    assert hits == [set(), {of("b")}, {of("a")}, {of("c")}]
+    assert [len(x) for x in index.levels] == [1, 1] and index.compact().count() == 5 and len(index.runs()) == 1
+
+
 def test_query_equals_grouping(spark, sf):
     docs = [(r.doc_id, r.text) for r in spark.read.parquet(f"{sf}/documents.parquet").collect()]
     out = queries.op6_exact_dedup(spark, sf)
