@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import secrets
 from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -131,9 +132,11 @@ def op5_byte_gru(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_pii_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The key comes from the session (``spark.fragsim.pii.key``); without one the run draws its own and forgets it."""
     from .pii import replace_pii
 
-    return replace_pii(table(spark, sf_dir, "documents"))
+    key = spark.conf.get("spark.fragsim.pii.key", None) or secrets.token_hex(32)
+    return replace_pii(table(spark, sf_dir, "documents"), key.encode())
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
