@@ -56,11 +56,11 @@ def temporary(spark: SparkSession) -> Iterator[None]:
             drop_path(spark, path)
 
 
-def persist(df: DataFrame, name: str) -> DataFrame:
+def persist(df: DataFrame, name: str, compression: str = "snappy") -> DataFrame:
     """Write ``df`` as Parquet in the shared folder and read it again: the lineage ends there, and a
     lost executor takes nothing with it."""
     path = scratch(df.sparkSession, name)
-    df.write.parquet(path)
+    df.write.option("compression", compression).parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
