@@ -8,6 +8,7 @@ from pyspark.sql.window import Window
 
 from fragsim.config import DetectConfig
 from fragsim.functions.overlap import above, bag_overlap, denominator, size_compatible
+from fragsim.sources.tables import staged
 
 #: Largest number of rows that the exhaustive baseline will pair.
 EXHAUSTIVE_ROWS = 20_000
@@ -97,44 +98,59 @@ def over_threshold(pairs: DataFrame, cfg: DetectConfig) -> DataFrame:
     return pairs.where(above(ov, denominator(a, b, ov, cfg.denom), cfg.theta_pct, cfg.inclusive))
 
 
+def least_overlap(total: Column, cfg: DetectConfig) -> Column:
+    """Fewest common elements that a pair with this denominator needs."""
+    return F.floor(total * cfg.theta_pct / 100) + (0 if cfg.inclusive and cfg.theta_pct else 1)
+
+
 def prefix_rows(banded: DataFrame, cfg: DetectConfig) -> DataFrame:
-    """Rows of the first places of each bag, rarest actions first, that any pair above the threshold with
-    this bag as (smaller or larger) denominator must share.
+    """Rows of the bags with ``slack`` and ``in_prefix``.
 
-    A bag of m elements needs o = floor(theta * m) + 1 common elements, so one of its first m - o + 1
-    places is common.  Places count elements, not kinds.
+    A bag of m elements needs o = floor(theta * m) + 1 common ones.  In the order of rising document
+    frequency its last elements, ``slack`` = o / 2 of them (fewer than o), are its suffix; all before are its
+    prefix, in which any pair above the threshold has at least o - slack common elements.
     """
-    df = action_df(banded)
-    rows = action_rows(banded, "n_tokens", "action_total", "home_band", "cand_bands").join(df, "action")
-    before = Window.partitionBy("fragment_id").orderBy("df", "action").rowsBetween(Window.unboundedPreceding, -1)
-    need = F.floor(F.col("action_total") * cfg.theta_pct / 100) + (0 if cfg.inclusive and cfg.theta_pct else 1)
-    return rows.withColumn("place", F.coalesce(F.sum("f").over(before), F.lit(0))).withColumn("in_prefix", F.col("place") < F.col("action_total") - need + 1)
+    rows = action_rows(banded, "n_tokens", "action_total", "home_band", "cand_bands").join(action_df(banded), "action")
+    after = Window.partitionBy("fragment_id").orderBy(F.desc("df"), F.desc("action")).rowsBetween(Window.unboundedPreceding, 0)
+    slack = F.greatest(F.floor(least_overlap(F.col("action_total"), cfg) / 2), F.lit(0))
+    return rows.withColumn("slack", slack).withColumn("in_prefix", F.sum("f").over(after) > F.col("slack"))
 
 
 def prefix_candidates(banded: DataFrame, cfg: DetectConfig) -> DataFrame:
     """The same pairs as ``over_threshold(meetings(...))``, found through prefixes and verified on the bags.
 
-    With ``max`` (and ``union``, which is larger) both sides must meet in their prefixes; with ``min`` the
-    smaller bag's prefix meets any place of the larger one.
+    The smaller bag's prefix meets all of the larger one by (band, action).  What is common there, and the whole
+    suffix, bound the overlap of a pair; the frequent actions of the suffix never meet, and only pairs
+    whose bound reaches the threshold have their bags compared.
     """
     if cfg.denom not in ("min", "max", "union") or cfg.element != "bag":
         raise ValueError("prefixes are for bags under min, max or union")
-    rows = prefix_rows(banded, cfg)
-    names = ["fragment_id", "action", "action_total", "n_tokens", "home_band", "cand_bands", "in_prefix"]
-    a, b = _side(rows.where("in_prefix"), "a_", names), _side(rows if cfg.denom == "min" else rows.where("in_prefix"), "b_", names)
-    on = (F.col("a_action") == F.col("b_action")) & (F.col("a_fragment_id") != F.col("b_fragment_id"))
-    if cfg.denom == "min":
-        on = on & ((F.col("a_action_total") < F.col("b_action_total")) | ((F.col("a_action_total") == F.col("b_action_total")) & (F.col("a_fragment_id") < F.col("b_fragment_id"))))
-    else:
-        on = on & (F.col("a_fragment_id") < F.col("b_fragment_id"))
-    meet = F.array_contains("a_cand_bands", F.col("b_home_band")) | F.array_contains("b_cand_bands", F.col("a_home_band"))
+    rows = staged(prefix_rows(banded, cfg), "prefixes")
+    names = ["band", "fragment_id", "action", "f", "action_total", "n_tokens", "home_band", "cand_bands", "slack"]
+    rising = (F.col("a_action_total") < F.col("b_action_total")) | ((F.col("a_action_total") == F.col("b_action_total")) & (F.col("a_fragment_id") < F.col("b_fragment_id")))
+    on = (F.col("a_band") == F.col("b_band")) & (F.col("a_action") == F.col("b_action")) & rising
     if cfg.exact_size:
-        meet = meet & size_compatible(F.col("a_n_tokens"), F.col("b_n_tokens"), cfg.gamma_pct)
-    found = a.join(b, on & meet).select(F.least("a_fragment_id", "b_fragment_id").alias("left_id"), F.greatest("a_fragment_id", "b_fragment_id").alias("right_id")).distinct()
+        on = on & size_compatible(F.col("a_n_tokens"), F.col("b_n_tokens"), cfg.gamma_pct)
+    home, wide = F.col("home_band"), F.explode("cand_bands")
+
+    def met(a_band: Column, b_band: Column) -> DataFrame:
+        return _side(rows.where("in_prefix").withColumn("band", a_band), "a_", names).join(_side(rows.withColumn("band", b_band), "b_", names), on)
+
+    found = met(home, wide)
+    if not cfg.exact_size:
+        # Compatible sizes meet in both directions; of others each pair is summed in one.
+        found = found.unionByName(met(wide, home).where(~F.array_contains("b_cand_bands", F.col("a_home_band"))))
+    sums = found.groupBy("a_fragment_id", "b_fragment_id", "a_action_total", "b_action_total", "a_slack").agg(F.sum(F.least("a_f", "b_f")).alias("common"))
+    need = least_overlap(F.col("a_action_total" if cfg.denom == "min" else "b_action_total"), cfg)
+    near = sums.where((F.col("common") + F.col("a_slack") >= need) & (F.col("a_action_total") >= need))
+    # A number of partitions of its own: the comparison costs far more than the size of its input tells.
+    spark = banded.sparkSession
+    near = near.select("a_fragment_id", "b_fragment_id").repartition(max(spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions"))))
+    pairs = near.select(F.least("a_fragment_id", "b_fragment_id").alias("left_id"), F.greatest("a_fragment_id", "b_fragment_id").alias("right_id"))
     bags = banded.select("fragment_id", "actions", "action_total")
     l_side = bags.select(F.col("fragment_id").alias("left_id"), F.col("actions").alias("l_actions"), F.col("action_total").alias("left_total"))
     r_side = bags.select(F.col("fragment_id").alias("right_id"), F.col("actions").alias("r_actions"), F.col("action_total").alias("right_total"))
-    both = found.join(l_side, "left_id").join(r_side, "right_id").withColumn("overlap", bag_overlap(F.col("l_actions"), F.col("r_actions")))
+    both = pairs.join(l_side, "left_id").join(r_side, "right_id").withColumn("overlap", bag_overlap(F.col("l_actions"), F.col("r_actions")))
     return over_threshold(both, cfg).select("left_id", "right_id", "overlap", "left_total", "right_total")
 
 

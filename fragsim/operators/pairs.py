@@ -3,20 +3,20 @@ detectors, clone classes and explanations."""
 
 from __future__ import annotations
 
-import tempfile
 from collections.abc import Mapping
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from fragsim.config import METRICS
+from fragsim.sources.tables import shared_folder
 
 
 def checkpointed(df: DataFrame) -> DataFrame:
     """Cut the lineage in the folder of ``spark.checkpoint.dir`` (set here only where it is unset)."""
     sc = df.sparkSession.sparkContext
     if not sc.getCheckpointDir():
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="fragsim-"))
+        sc.setCheckpointDir(shared_folder(df.sparkSession))
     return df.checkpoint()
 
 
