@@ -6,12 +6,10 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from fragsim.functions.overlap import bag_overlap
-from fragsim.sources.prose import let, sorted_bag
-
 #: Kinds of mutants and the class each is meant for.
 KINDS = {1: "T1", 2: "T2", 3: "VST3", 4: "ST3", 5: "MT3", 6: "WT3T4", 0: "none"}
-EVERY, MIN_SENTENCES, ID_STEP = 10, 8, 1_000_000_000
+#: Sentences that a base document needs, identifiers in one range of their order, what a mutant's number adds per kind.
+MIN_SENTENCES, RANGE, ID_STEP = 8, 10_000, 1_000_000_000
 
 
 def sentences(text: Column) -> Column:
@@ -19,18 +17,18 @@ def sentences(text: Column) -> Column:
     return F.regexp_extract_all(text, F.lit(r"[^.!?]*[^.!?\s][^.!?]*[.!?]*"), F.lit(0))
 
 
-def mutants(documents: DataFrame, every: int = EVERY) -> DataFrame:
-    """mutant_id, base_id, kind, text: six variants and one stranger of every document whose identifier
-    ``every`` divides (10: what the SQL twins take; 1: all).
+def mutants(documents: DataFrame) -> DataFrame:
+    """mutant_id, base_id, kind, text: six variants and one stranger of every document of enough
+    sentences.
 
     The neighbour of a document is the next one (in the order of identifiers, the last one's is the
     first) with enough sentences.
     """
-    able = documents.where(F.col("doc_id") % every == 0).select(F.col("doc_id").alias("base_id"), F.transform(sentences(F.coalesce("text", F.lit(""))), lambda s: F.trim(s)).alias("s"))
+    able = documents.select(F.col("doc_id").alias("base_id"), F.transform(sentences(F.coalesce("text", F.lit(""))), lambda s: F.trim(s)).alias("s"))
     able = able.where(F.size("s") >= MIN_SENTENCES)
-    # The order of the base documents: identifiers only, in ranges of 1,000 of them.
+    # The order of the base documents: identifiers only, in ranges.
     ids = able.select("base_id")
-    part = F.floor(F.col("base_id") / (every * 1000))
+    part = F.floor(F.col("base_id") / RANGE)
     inside = Window.partitionBy("part").orderBy("base_id")
     linked = ids.withColumn("part", part).withColumn("next", F.lead("base_id").over(inside))
     heads = linked.groupBy("part").agg(F.min("base_id").alias("head"))
@@ -56,27 +54,45 @@ def mutants(documents: DataFrame, every: int = EVERY) -> DataFrame:
     return out.select((F.col("m.kind") * ID_STEP + F.col("base_id") + F.when(F.col("m.kind") == 0, 9 * ID_STEP).otherwise(0)).alias("mutant_id"), "base_id", F.col("m.kind").alias("kind"), F.col("m.text").alias("text"))
 
 
-def similarity_pct(a: Column, b: Column) -> Column:
-    """Common elements of two arrays as whole percent of the longer one."""
-    longest = F.greatest(F.size(a), F.size(b)).cast("long")
-    common = let(sorted_bag(a), lambda x: let(sorted_bag(b), lambda y: bag_overlap(x, y)))
-    return F.when(longest == 0, F.lit(100).cast("long")).otherwise(F.floor(common * 100 / longest).cast("long"))
+def common_elements(pairs: DataFrame, sides: dict[str, DataFrame]) -> DataFrame:
+    """left_id, right_id and per name how many elements the two bags have in common.
+
+    ``sides`` holds per name rows (fragment_id, u), one for each element.  Bags are counted before they meet and
+    meet by an equi-join, so a pair costs as many rows as its smaller vocabulary and no array is folded.
+    """
+    bags = None
+    for name, rows in sides.items():
+        part = rows.groupBy("fragment_id", "u").agg(F.count("*").alias("f")).withColumn("side", F.lit(name))
+        bags = part if bags is None else bags.unionByName(part)
+    mine = bags.select(F.col("fragment_id").alias("left_id"), "side", "u", F.col("f").alias("a"))
+    theirs = bags.select(F.col("fragment_id").alias("right_id"), "side", "u", F.col("f").alias("b"))
+    met = pairs.select("left_id", "right_id").distinct().join(mine, "left_id").join(theirs, ["right_id", "side", "u"])
+    least = F.least("a", "b")
+    return met.groupBy("left_id", "right_id").agg(*(F.sum(F.when(F.col("side") == name, least).otherwise(0)).alias(name) for name in sides))
 
 
 def categorise(pairs: DataFrame, fragments: DataFrame, combine: str = "min") -> DataFrame:
     """Adds line_pct, token_pct and category.
 
     T1 and T2 by equal normal forms; else the class of the smaller (or mean, or larger) of sentence and
-    token similarity, each interval closed below.
+    token similarity (common elements as whole percent of the longer side), each interval closed below.
     """
     from fragsim.operators.pairs import with_sides
 
-    prepared = fragments.withColumn("lines", F.transform(sentences(F.col("text")), lambda s: F.lower(F.trim(s))))
-    out = with_sides(pairs, prepared, "text_key", "lex_key", "words", "lines")
-    out = out.withColumn("line_pct", similarity_pct(F.col("l_lines"), F.col("r_lines"))).withColumn("token_pct", similarity_pct(F.col("l_words"), F.col("r_words")))
+    lines = F.transform(sentences(F.col("text")), lambda s: F.lower(F.trim(s)))
+    prepared = fragments.select("fragment_id", "text_key", "lex_key", "words", lines.alias("lines"))
+    sides = {name: prepared.select("fragment_id", F.explode(name).alias("u")) for name in ("lines", "words")}
+    sizes = prepared.select("fragment_id", "text_key", "lex_key", F.size("lines").cast("long").alias("lines"), F.size("words").cast("long").alias("words"))
+    common = common_elements(pairs, sides).withColumnsRenamed({"lines": "same_lines", "words": "same_words"})
+    out = with_sides(pairs, sizes, "text_key", "lex_key", "words", "lines").join(common, ["left_id", "right_id"], "left")
+    for unit, name in (("lines", "line_pct"), ("words", "token_pct")):
+        longest = F.greatest(f"l_{unit}", f"r_{unit}")
+        share = F.floor(F.coalesce(F.col(f"same_{unit}"), F.lit(0)) * 100 / longest).cast("long")
+        out = out.withColumn(name, F.when(longest == 0, F.lit(100).cast("long")).otherwise(share))
     pct = {"min": F.least("line_pct", "token_pct"), "max": F.greatest("line_pct", "token_pct"), "avg": F.floor((F.col("line_pct") + F.col("token_pct")) / 2)}[combine]
     kind = F.when(F.col("l_text_key") == F.col("r_text_key"), "T1").when(F.col("l_lex_key") == F.col("r_lex_key"), "T2").when(pct >= 90, "VST3").when(pct >= 70, "ST3").when(pct >= 50, "MT3").otherwise("WT3T4")
-    return out.withColumn("category", kind).drop(*(f"{s}_{c}" for s in "lr" for c in ("text_key", "lex_key", "words", "lines")))
+    drop = [f"{s}_{c}" for s in "lr" for c in ("text_key", "lex_key", "words", "lines")]
+    return out.withColumn("category", kind).drop(*drop, "same_lines", "same_words")
 
 
 def passages(documents: DataFrame, benchmark: DataFrame) -> DataFrame:

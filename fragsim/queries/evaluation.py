@@ -21,7 +21,7 @@ from fragsim.queries.filtering import LOOSE
 from fragsim.queries.preprocessing import EXTRA
 from fragsim.queries.sql import W, with_
 from fragsim.sources.prose import prose_fragments, prose_metrics
-from fragsim.sources.tables import table
+from fragsim.sources.tables import spread, staged, table
 
 Q, S = {}, {}
 
@@ -38,7 +38,7 @@ def query(name, sql=None):
 
 SENT = r"[^.!?]*[^.!?\s][^.!?]*[.!?]*"
 MUT = {
-    "able": (("doc",), f"SELECT id, list_transform(regexp_extract_all(text, '{SENT}'), lambda x: trim(x)) AS s FROM doc WHERE id % 10 = 0 AND len(regexp_extract_all(text, '{SENT}')) >= 8"),
+    "able": (("doc",), f"SELECT id, list_transform(regexp_extract_all(text, '{SENT}'), lambda x: trim(x)) AS s FROM doc WHERE len(regexp_extract_all(text, '{SENT}')) >= 8"),
     "duo": (("able",), "SELECT a.id, a.s, b.s AS o FROM (SELECT *, coalesce(lead(id) OVER (ORDER BY id), min(id) OVER ()) AS nxt FROM able) a JOIN able b ON b.id = a.nxt"),
     "mut": (("duo",), r"""
       SELECT 1000000000 + id AS mutant_id, id AS base_id, 1 AS kind, array_to_string(list_transform(s, lambda x: replace(x, ' ', '  ')), chr(10)) AS text FROM duo
@@ -53,20 +53,22 @@ MUT = {
       FROM (SELECT id, text, w FROM doc WHERE id IN (SELECT base_id FROM mut) UNION ALL SELECT mutant_id, text, regexp_extract_all(lower(text), '{W}') FROM mut)"""),
     "tc": (("side",), "SELECT id, u, count(*) AS f FROM (SELECT id, unnest(w) AS u FROM side) GROUP BY ALL"),
     "lc": (("side",), "SELECT id, u, count(*) AS f FROM (SELECT id, unnest(lines) AS u FROM side) GROUP BY ALL"),
-    "cat": (("tc", "lc", "mut"), """SELECT *, CASE WHEN same_t THEN 'T1' WHEN same_l THEN 'T2' WHEN least(line_pct, token_pct) >= 90 THEN 'VST3' WHEN least(line_pct, token_pct) >= 70 THEN 'ST3' WHEN least(line_pct, token_pct) >= 50 THEN 'MT3' ELSE 'WT3T4' END AS category FROM (
+    "tov2": (("tc", "mut"), "SELECT m.base_id AS l, m.mutant_id AS r, sum(least(x.f, y.f)) AS ov FROM mut m JOIN tc x ON x.id = m.base_id JOIN tc y ON y.id = m.mutant_id AND y.u = x.u GROUP BY ALL"),
+    "lov": (("lc", "mut"), "SELECT m.base_id AS l, m.mutant_id AS r, sum(least(x.f, y.f)) AS ov FROM mut m JOIN lc x ON x.id = m.base_id JOIN lc y ON y.id = m.mutant_id AND y.u = x.u GROUP BY ALL"),
+    "cat": (("tov2", "lov", "mut"), """SELECT *, CASE WHEN same_t THEN 'T1' WHEN same_l THEN 'T2' WHEN least(line_pct, token_pct) >= 90 THEN 'VST3' WHEN least(line_pct, token_pct) >= 70 THEN 'ST3' WHEN least(line_pct, token_pct) >= 50 THEN 'MT3' ELSE 'WT3T4' END AS category FROM (
       SELECT m.base_id AS left_id, m.mutant_id AS right_id, m.kind, a.tk = b.tk AS same_t, a.lk = b.lk AS same_l,
-        CAST(100 * coalesce((SELECT sum(least(x.f, y.f)) FROM lc x JOIN lc y ON x.u = y.u WHERE x.id = a.id AND y.id = b.id), 0) // greatest(len(a.lines), len(b.lines)) AS BIGINT) AS line_pct,
-        CAST(100 * coalesce((SELECT sum(least(x.f, y.f)) FROM tc x JOIN tc y ON x.u = y.u WHERE x.id = a.id AND y.id = b.id), 0) // greatest(len(a.w), len(b.w)) AS BIGINT) AS token_pct
-      FROM mut m JOIN side a ON a.id = m.base_id JOIN side b ON b.id = m.mutant_id)"""),
+        CAST(100 * coalesce(lo.ov, 0) // greatest(len(a.lines), len(b.lines)) AS BIGINT) AS line_pct,
+        CAST(100 * coalesce(wo.ov, 0) // greatest(len(a.w), len(b.w)) AS BIGINT) AS token_pct
+      FROM mut m JOIN side a ON a.id = m.base_id JOIN side b ON b.id = m.mutant_id LEFT JOIN lov lo ON lo.l = m.base_id AND lo.r = m.mutant_id LEFT JOIN tov2 wo ON wo.l = m.base_id AND wo.r = m.mutant_id)"""),
 }
 
 
-def mutant_fragments(spark, d, every=R.EVERY):
-    """Fragments of the base documents and their mutants."""
-    m = R.mutants(table(spark, d, "documents"), every)
+def mutant_fragments(spark, d):
+    """Mutants, and fragments of them and of their base documents; both are made once, since every detector reads them."""
+    m = staged(R.mutants(spread(table(spark, d, "documents"))), "mutants")
     docs = table(spark, d, "documents").join(m.select(F.col("base_id").alias("doc_id")).distinct(), "doc_id", "left_semi").select("doc_id", "text")
     rows = docs.unionByName(m.select(F.col("mutant_id").alias("doc_id"), "text"))
-    return m, prose_fragments(rows, "doc_id", "text")
+    return m, staged(prose_fragments(spread(rows), "doc_id", "text"), "mutant-fragments")
 
 
 @query("mutants", with_("SELECT mutant_id, base_id, CAST(kind AS BIGINT) AS kind, text FROM mut", "mut", **MUT))
@@ -89,10 +91,11 @@ def truth_categories(spark, d):
 DETECT_SQL = MUT | {
     "ac": (("tc",), "SELECT * FROM tc WHERE length(u) >= 6"),
     "ad": (("ac",), "SELECT id, CAST(sum(f) AS BIGINT) AS m FROM ac GROUP BY id"),
-    "ov": (("ac", "cat"), """SELECT c.*, len(a.w) AS ln, len(b.w) AS rn, x.m AS lt, y.m AS rt, coalesce((SELECT sum(least(p.f, q.f)) FROM ac p JOIN ac q ON p.u = q.u WHERE p.id = left_id AND q.id = right_id), 0) AS ov
-      FROM cat c JOIN side a ON a.id = left_id JOIN side b ON b.id = right_id JOIN ad x ON x.id = left_id JOIN ad y ON y.id = right_id WHERE kind > 0"""),
-    "hit": (("ad", "ov"), """SELECT *, ln >= 15 AND rn >= 15 AND 100 * least(ln, rn) >= 60 * greatest(ln, rn) AND 100 * ov > 55 * least(lt, rt) AS by_actions,
-      100 * coalesce((SELECT sum(least(p.f, q.f)) FROM tc p JOIN tc q ON p.u = q.u WHERE p.id = left_id AND q.id = right_id), 0) >= 70 * greatest(ln, rn) AS by_tokens FROM ov"""),
+    "aov": (("ac", "mut"), "SELECT m.base_id AS l, m.mutant_id AS r, sum(least(x.f, y.f)) AS ov FROM mut m JOIN ac x ON x.id = m.base_id JOIN ac y ON y.id = m.mutant_id AND y.u = x.u GROUP BY ALL"),
+    "ov": (("aov", "cat"), """SELECT c.*, len(a.w) AS ln, len(b.w) AS rn, x.m AS lt, y.m AS rt, coalesce(o.ov, 0) AS ov
+      FROM cat c LEFT JOIN aov o ON o.l = left_id AND o.r = right_id JOIN side a ON a.id = left_id JOIN side b ON b.id = right_id JOIN ad x ON x.id = left_id JOIN ad y ON y.id = right_id WHERE kind > 0"""),
+    "hit": (("ad", "ov", "tov2"), """SELECT ov.*, ln >= 15 AND rn >= 15 AND 100 * least(ln, rn) >= 60 * greatest(ln, rn) AND 100 * ov.ov > 55 * least(lt, rt) AS by_actions,
+      100 * coalesce(wo.ov, 0) >= 70 * greatest(ln, rn) AS by_tokens FROM ov LEFT JOIN tov2 wo ON wo.l = left_id AND wo.r = right_id"""),
 }
 
 
@@ -353,7 +356,7 @@ def vector_same_label(spark, d):
 
 def examples(spark, d):
     """Labelled mutant pairs with scaled vectors: kinds 1..5 are clones, 0 and 6 are not."""
-    m, frags = mutant_fragments(spark, d, every=1)
+    m, frags = mutant_fragments(spark, d)
     f = prose_metrics(frags)
     stats = {r["metric"]: r for r in P.scaler_stats(f).collect()}
     pairs = m.select(F.col("base_id").alias("left_id"), F.col("mutant_id").alias("right_id"), F.col("kind").isin(1, 2, 3, 4, 5).cast("int").alias("is_clone"))
