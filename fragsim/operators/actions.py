@@ -116,16 +116,12 @@ def prefix_rows(banded: DataFrame, cfg: DetectConfig) -> DataFrame:
     return rows.withColumn("slack", slack).withColumn("in_prefix", F.sum("f").over(after) > F.col("slack"))
 
 
-def prefix_candidates(banded: DataFrame, cfg: DetectConfig) -> DataFrame:
-    """The same pairs as ``over_threshold(meetings(...))``, found through prefixes and verified on the bags.
+def prefix_meetings(first: DataFrame, second: DataFrame, cfg: DetectConfig) -> DataFrame:
+    """a_fragment_id, b_fragment_id of the pairs that may pass: ``a``, the smaller bag, is from ``first``, ``b`` from ``second``.
 
-    The smaller bag's prefix meets all of the larger one by (band, action).  What is common there, and the whole
-    suffix, bound the overlap of a pair; the frequent actions of the suffix never meet, and only pairs
-    whose bound reaches the threshold have their bags compared.
+    Both hold rows of ``prefix_rows``.  The order of a bag's actions only has to be one for that bag, so rows that were
+    written under other document frequencies meet without loss.
     """
-    if cfg.denom not in ("min", "max", "union") or cfg.element != "bag":
-        raise ValueError("prefixes are for bags under min, max or union")
-    rows = staged(prefix_rows(banded, cfg), "prefixes")
     names = ["band", "fragment_id", "action", "f", "action_total", "n_tokens", "home_band", "cand_bands", "slack"]
     rising = (F.col("a_action_total") < F.col("b_action_total")) | ((F.col("a_action_total") == F.col("b_action_total")) & (F.col("a_fragment_id") < F.col("b_fragment_id")))
     on = (F.col("a_band") == F.col("b_band")) & (F.col("a_action") == F.col("b_action")) & rising
@@ -134,7 +130,7 @@ def prefix_candidates(banded: DataFrame, cfg: DetectConfig) -> DataFrame:
     home, wide = F.col("home_band"), F.explode("cand_bands")
 
     def met(a_band: Column, b_band: Column) -> DataFrame:
-        return _side(rows.where("in_prefix").withColumn("band", a_band), "a_", names).join(_side(rows.withColumn("band", b_band), "b_", names), on)
+        return _side(first.where("in_prefix").withColumn("band", a_band), "a_", names).join(_side(second.withColumn("band", b_band), "b_", names), on)
 
     found = met(home, wide)
     if not cfg.exact_size:
@@ -142,18 +138,38 @@ def prefix_candidates(banded: DataFrame, cfg: DetectConfig) -> DataFrame:
         found = found.unionByName(met(wide, home).where(~F.array_contains("b_cand_bands", F.col("a_home_band"))))
     sums = found.groupBy("a_fragment_id", "b_fragment_id", "a_action_total", "b_action_total", "a_slack").agg(F.sum(F.least("a_f", "b_f")).alias("common"))
     need = least_overlap(F.col("a_action_total" if cfg.denom == "min" else "b_action_total"), cfg)
-    near = sums.where((F.col("common") + F.col("a_slack") >= need) & (F.col("a_action_total") >= need))
+    return sums.where((F.col("common") + F.col("a_slack") >= need) & (F.col("a_action_total") >= need)).select("a_fragment_id", "b_fragment_id")
+
+
+def verified(near: DataFrame, bags: DataFrame, cfg: DetectConfig) -> DataFrame:
+    """The pairs of ``near`` whose whole bags (fragment_id, actions, action_total) reach the threshold."""
     # A number of partitions of its own: the comparison costs far more than the size of its input tells.
-    spark = banded.sparkSession
-    near = near.select("a_fragment_id", "b_fragment_id").repartition(max(spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions"))))
+    spark = bags.sparkSession
+    near = near.repartition(max(spark.sparkContext.defaultParallelism, int(spark.conf.get("spark.sql.shuffle.partitions"))))
     pairs = near.select(F.least("a_fragment_id", "b_fragment_id").alias("left_id"), F.greatest("a_fragment_id", "b_fragment_id").alias("right_id"))
-    bags = banded.select("fragment_id", "actions", "action_total")
     l_side = bags.select(F.col("fragment_id").alias("left_id"), F.col("actions").alias("l_actions"), F.col("action_total").alias("left_total"))
     r_side = bags.select(F.col("fragment_id").alias("right_id"), F.col("actions").alias("r_actions"), F.col("action_total").alias("right_total"))
     both = pairs.join(l_side, "left_id").join(r_side, "right_id").withColumn("overlap", bag_overlap(F.col("l_actions"), F.col("r_actions")))
     return over_threshold(both, cfg).select("left_id", "right_id", "overlap", "left_total", "right_total")
 
 
+def prefix_able(cfg: DetectConfig) -> None:
+    if cfg.denom not in ("min", "max", "union") or cfg.element != "bag":
+        raise ValueError("prefixes are for bags under min, max or union")
+
+
+def prefix_candidates(banded: DataFrame, cfg: DetectConfig) -> DataFrame:
+    """The same pairs as ``over_threshold(meetings(...))``, found through prefixes and verified on the bags.
+
+    The smaller bag's prefix meets all of the larger one by (band, action).  What is common there, and the whole
+    suffix, bound the overlap of a pair; the frequent actions of the suffix never meet, and only pairs
+    whose bound reaches the threshold have their bags compared.
+    """
+    prefix_able(cfg)
+    rows = staged(prefix_rows(banded, cfg), "prefixes")
+    return verified(prefix_meetings(rows, rows, cfg), banded.select("fragment_id", "actions", "action_total"), cfg)
+
+
 def candidates(banded: DataFrame, cfg: DetectConfig, queries: DataFrame | None = None) -> DataFrame:
     """Candidate pairs under ``cfg``; ``auto`` uses prefixes wherever they are lossless and no query set is given."""
     able = cfg.denom in ("min", "max", "union") and cfg.element == "bag" and queries is None and cfg.theta_pct >= 20

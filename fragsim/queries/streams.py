@@ -2,14 +2,14 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from fragsim.queries.base import CFG, documents
-from fragsim.sources.tables import table
+from fragsim.queries.base import CFG, documents, slim
+from fragsim.queries.sql import with_
+from fragsim.sources.tables import shared_folder, table
 from fragsim.streaming import activity as ST
 
 Q, S = {}, {}
@@ -68,12 +68,41 @@ def stream_session_frags(spark, d):
     return out.withColumns({c: F.col(c).cast("timestamp_ntz") for c in ("start", "stop")})
 
 
-@query("stream_incremental")
+@query("stream_unique_events", "SELECT event_id, user_id, event_type FROM events")
+def stream_unique_events(spark, d):
+    """The source is read twice; of each event one arrival stays."""
+    twice = _stream(spark, d).unionByName(_stream(spark, d))
+    # The delay is longer than the span of the source, since the two readings are not in step.
+    return ST.run_available(ST.unique_events(twice, "60 days").select("event_id", "user_id", "event_type"), "unique_" + uuid.uuid4().hex)
+
+
+@query("stream_click_to_purchase", """SELECT c.event_id AS click_id, p.event_id AS purchase_id FROM events c JOIN events p ON c.user_id = p.user_id AND p.ts >= c.ts AND p.ts <= c.ts + INTERVAL '1 hour'
+    WHERE c.event_type = 'click' AND p.event_type = 'purchase'""")
+def stream_click_to_purchase(spark, d):
+    clicks, purchases = (_stream(spark, d).where(F.col("event_type") == kind) for kind in ("click", "purchase"))
+    return ST.run_available(ST.click_to_purchase(clicks, purchases, "60 days"), "interval_" + uuid.uuid4().hex)
+
+
+@query("stream_action_counters", "SELECT event_type AS action, CAST(count(*) AS BIGINT) AS n_events, min(ts) AS first_ts, max(ts) AS last_ts FROM events GROUP BY ALL")
+def stream_action_counters(spark, d):
+    out = ST.run_available(ST.action_counters(_stream(spark, d)), "counters_" + uuid.uuid4().hex, mode="complete")
+    return out.withColumns({c: F.col(c).cast("timestamp_ntz") for c in ("first_ts", "last_ts")})
+
+
+@query("stream_consecutive_overlap", """WITH e AS (SELECT user_id, event_type, (row_number() OVER (PARTITION BY user_id ORDER BY ts, event_id) - 1) // 10 AS n FROM events WHERE user_id IS NOT NULL),
+    whole AS (SELECT user_id, n FROM e GROUP BY ALL HAVING count(*) = 10), bag AS (SELECT user_id, n, event_type, count(*) AS f FROM e GROUP BY ALL)
+    SELECT w.user_id, CAST(w.n AS BIGINT) AS fragment, CAST(sum(least(a.f, coalesce(b.f, 0))) AS BIGINT) AS overlap FROM whole w LEFT JOIN bag a ON a.user_id = w.user_id AND a.n = w.n
+    LEFT JOIN bag b ON b.user_id = w.user_id AND b.n = w.n - 1 AND b.event_type = a.event_type WHERE w.n > 0 GROUP BY ALL""")
+def stream_consecutive_overlap(spark, d):
+    """Stateful: each user's fragments of ten events against the one before."""
+    return ST.run_available(ST.consecutive_overlap(_stream(spark, d)), "overlap_" + uuid.uuid4().hex)
+
+
+@query("stream_incremental", with_("SELECT l AS left_id, r AS right_id, ov AS overlap FROM meet WHERE 100 * ov > 55 * least(lt, rt) AND 100 * least(ln, rn) >= 60 * greatest(ln, rn)", "meet"))
 def stream_incremental(spark, d):
-    """Documents arrive in two batches; the pairs equal those of one batch over all (tested)."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir() or "file://" + tempfile.mkdtemp(prefix="fragsim-")
-    detector = ST.IncrementalDetector(spark, f"{base.rstrip('/')}/incremental-{uuid.uuid4().hex}", CFG)
-    docs = documents(spark, d)
+    """Documents arrive in two batches; the pairs equal those of one batch over all."""
+    detector = ST.IncrementalDetector(spark, f"{shared_folder(spark)}/incremental-{uuid.uuid4().hex}", CFG)
+    docs = slim(documents(spark, d))
     for i in range(2):
         detector.add(docs.where(F.pmod("fragment_id", F.lit(2)) == i), i)
     return detector.pairs()

@@ -144,3 +144,18 @@ def test_metrics_are_24_and_hash_follows_them(spark, sf):
     assert len(METRICS) == 24 and f.select(F.size("metric_vec").alias("n")).distinct().collect()[0].n == 24
     both = f.groupBy("metric_hash").agg(F.countDistinct(F.to_json("metric_vec")).alias("v")).agg(F.max("v")).first()[0]
     assert both == 1
+
+
+def test_incremental_batches_equal_one_run_and_replay(spark, sf, tmp_path):
+    from fragsim.streaming.activity import IncrementalDetector
+
+    f = base.slim(base.documents(spark, sf))
+    found = []
+    for parts, replay in ((1, False), (3, True)):
+        detector = IncrementalDetector(spark, f"file://{tmp_path}/{parts}", DetectConfig())
+        for i in range(parts):
+            detector.add(f.where(F.pmod("fragment_id", F.lit(parts)) == i), i)
+        if replay:
+            detector.add(f.where(F.pmod("fragment_id", F.lit(parts)) == parts - 1), parts - 1)
+        found.append(sorted(tuple(r) for r in detector.pairs().collect()))
+    assert found[0] and found[0] == found[1]
