@@ -97,6 +97,19 @@ class Network:
         return p
 
 
+@dataclass
+class Scaled:
+    """A network with the scaling it was trained under, for rows of raw metrics: logarithm, then z-scores."""
+
+    net: Network
+    mean: list[float]
+    std: list[float]
+
+    def predict(self, x: np.ndarray, symmetry: str = "concat") -> np.ndarray:
+        m, s = np.array([*self.mean, *self.mean]), np.array([v or 1.0 for v in (*self.std, *self.std)])
+        return self.net.predict((np.log1p(x) - m) / s, symmetry)
+
+
 def cross_entropy(p: np.ndarray, y: np.ndarray) -> float:
     p = np.clip(p, 1e-12, 1 - 1e-12)
     return float(-(y * np.log(p) + (1 - y) * np.log(1 - p)).mean())

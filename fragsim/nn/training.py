@@ -71,8 +71,8 @@ def scale_column(x: Column, mean: list[float], std: list[float]) -> Column:
 
 
 def collect_examples(examples: DataFrame, limit: int = 200_000) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """x, y, split of a bounded training sample; refuses more than ``limit`` rows."""
-    rows = examples.select("x", "is_clone", "split").limit(limit + 1).toPandas()
+    """x, y, split of a bounded training sample in the order of the pairs; refuses more than ``limit`` rows."""
+    rows = examples.select("left_id", "right_id", "x", "is_clone", "split").limit(limit + 1).toPandas().sort_values(["left_id", "right_id"])
     if len(rows) > limit:
         raise ValueError(f"more than {limit} examples: sample first or train with local_sgd")
     return np.array(rows["x"].tolist(), float), rows["is_clone"].to_numpy(float), rows["split"].to_numpy(str)
@@ -116,7 +116,10 @@ def fit_local_sgd(net: Network, examples: DataFrame, rounds: int = 5, parts: int
 
 def evaluate(net, x: np.ndarray, y: np.ndarray) -> dict[str, float]:
     """Accuracy, precision, recall, F1, loss and AUC on a held-out sample."""
-    p = net.predict(x)
+    return summary(net.predict(x), y)
+
+
+def summary(p: np.ndarray, y: np.ndarray) -> dict[str, float]:
     yes = p > 0.5
     tp = float((yes & (y == 1)).sum())
     precision, recall = tp / max(1, yes.sum()), tp / max(1, (y == 1).sum())
