@@ -6,6 +6,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from fragsim.sources.prose import ACTION_LETTERS
+
 #: Kinds of mutants and the class each is meant for.
 KINDS = {1: "T1", 2: "T2", 3: "VST3", 4: "ST3", 5: "MT3", 6: "WT3T4", 0: "none"}
 #: Sentences that a base document needs, identifiers in one range of their order, what a mutant's number adds per kind.
@@ -17,6 +19,13 @@ def sentences(text: Column) -> Column:
     return F.regexp_extract_all(text, F.lit(r"[^.!?]*[^.!?\s][^.!?]*[.!?]*"), F.lit(0))
 
 
+def renamed(text: Column) -> Column:
+    """Every short word, the counterpart of a program's own names, under another name of its length; the long words, which
+    are the actions, stay, as called names do.  One permutation of letters, so equal words stay equal."""
+    parts = F.regexp_extract_all(text, F.lit(r"[\p{L}\p{N}_]+|[^\p{L}\p{N}_]+"), F.lit(0))
+    return F.array_join(F.transform(parts, lambda x: F.when(F.length(x) < ACTION_LETTERS, F.translate(x, "aeiouAEIOU", "eiouaEIOUA")).otherwise(x)), "")
+
+
 def mutants(documents: DataFrame) -> DataFrame:
     """mutant_id, base_id, kind, text: six variants and one stranger of every document of enough
     sentences.
@@ -42,7 +51,7 @@ def mutants(documents: DataFrame) -> DataFrame:
     woven = F.reverse(F.transform("s", lambda x, i: F.when(i % 3 == 0, x).otherwise(F.get(F.col("o"), i % F.size("o")))))
     text = {
         1: F.array_join(F.transform("s", lambda x: F.regexp_replace(x, " ", "  ")), "\n"),
-        2: F.regexp_replace(F.array_join("s", " "), r"([\p{L}\p{N}_]+)", "$1zq"),
+        2: renamed(F.array_join("s", " ")),
         3: F.array_join(keep("s", lambda i: i % 20 != 7), " "),
         4: F.array_join(keep("s", lambda i: i % 5 != 2), " "),
         5: F.array_join(replaced, " "),

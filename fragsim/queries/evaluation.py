@@ -44,7 +44,7 @@ MUT = {
     "duo": (("able",), "SELECT a.id, a.s, b.s AS o FROM (SELECT *, coalesce(lead(id) OVER (ORDER BY id), min(id) OVER ()) AS nxt FROM able) a JOIN able b ON b.id = a.nxt"),
     "mut": (("duo",), r"""
       SELECT 1000000000 + id AS mutant_id, id AS base_id, 1 AS kind, array_to_string(list_transform(s, lambda x: replace(x, ' ', '  ')), chr(10)) AS text FROM duo
-      UNION ALL SELECT 2000000000 + id, id, 2, regexp_replace(array_to_string(s, ' '), '([\p{L}\p{N}_]+)', '\1zq', 'g') FROM duo
+      UNION ALL SELECT 2000000000 + id, id, 2, array_to_string(list_transform(regexp_extract_all(array_to_string(s, ' '), '[\p{L}\p{N}_]+|[^\p{L}\p{N}_]+'), lambda x: CASE WHEN length(x) < 6 THEN translate(x, 'aeiouAEIOU', 'eiouaEIOUA') ELSE x END), '') FROM duo
       UNION ALL SELECT 3000000000 + id, id, 3, array_to_string(list_filter(s, lambda x, i: (i - 1) % 20 <> 7), ' ') FROM duo
       UNION ALL SELECT 4000000000 + id, id, 4, array_to_string(list_filter(s, lambda x, i: (i - 1) % 5 <> 2), ' ') FROM duo
       UNION ALL SELECT 5000000000 + id, id, 5, array_to_string(list_transform(s, lambda x, i: CASE WHEN (i - 1) % 5 IN (1, 3) THEN o[(i - 1) % len(o) + 1] ELSE x END), ' ') FROM duo
@@ -178,7 +178,7 @@ def token_bag_classes(spark, d):
     return pairs.join(left, "left_id").join(right, "right_id")
 
 
-@query("norm_tokenset_clones", rf"""WITH st AS (SELECT doc_id AS id, list_transform(regexp_extract_all(lower(coalesce(text, '')), '{STMT}'), lambda x: trim(regexp_replace(regexp_replace(x, '[0-9]+', '0', 'g'), '\s+', ' ', 'g'))) AS s FROM documents),
+@query("norm_tokenset_clones", rf"""WITH st AS (SELECT doc_id AS id, list_transform(regexp_extract_all(coalesce(text, ''), '{STMT}'), lambda x: array_to_string(list_transform(regexp_extract_all(lower(x), '{W}'), lambda y: CASE WHEN regexp_full_match(y, '[0-9]+') THEN '0' WHEN length(y) < 6 THEN 'v' ELSE y END), ' ')) AS s FROM documents),
   f AS (SELECT id, u, count(*) AS f FROM (SELECT id, unnest(s) AS u FROM st) GROUP BY ALL) SELECT a.id AS left_id, b.id AS right_id, CAST(sum(least(a.f, b.f)) AS BIGINT) AS overlap FROM f a JOIN f b ON a.u = b.u AND a.id < b.id JOIN st x ON x.id = a.id JOIN st y ON y.id = b.id
   GROUP BY a.id, b.id, len(x.s), len(y.s) HAVING 100 * sum(least(a.f, b.f)) >= 70 * greatest(len(x.s), len(y.s))""")
 def norm_tokenset_clones(spark, d):

@@ -93,12 +93,12 @@ PROSE_SQL = rf"""SELECT *, CASE WHEN operand_kinds = 0 THEN 0.0 ELSE op_kinds::D
     CAST(len(regexp_extract_all(text, '{MARK}')) AS BIGINT) AS nopr, CAST(len(regexp_extract_all(lower(regexp_extract(text, '^[^.!?]*')), '{W}')) AS BIGINT) AS noa,
     CAST(len(regexp_extract_all(text, '[,;:]')) + len(regexp_extract_all(text, '{SENTENCE}')) AS BIGINT) AS nexp, CAST(len(w) AS BIGINT) AS nand,
     CAST(coalesce(list_max(list_transform(regexp_extract_all(text, '{SENTENCE}'), lambda s: len(regexp_extract_all(s, '[,;:]')) + 1)), 0) AS BIGINT) AS mdn,
-    CAST(len(string_split(text, chr(10))) - len(list_distinct(string_split(text, chr(10)))) AS BIGINT) AS "loop",
+    CAST(len(regexp_extract_all(text, '{SENTENCE}')) - len(list_distinct(list_transform(regexp_extract_all(text, '{SENTENCE}'), lambda x: trim(regexp_replace(x, '\s+', ' ', 'g'))))) AS BIGINT) AS "loop",
     (SELECT CAST(count(*) AS BIGINT) FROM act WHERE act.id = frag.id AND f >= 2) AS lmet, CAST(len(regexp_extract_all(text, '!')) AS BIGINT) AS exct, CAST(len(regexp_extract_all(text, '[?]')) AS BIGINT) AS excr,
     CAST(len(regexp_extract_all(text, '\p{{Lu}}\p{{Ll}}+')) AS BIGINT) AS cref, CAST(len(list_filter(w, lambda x: length(x) <= 2)) + 1 AS BIGINT) AS comp,
     CAST(len(list_filter(regexp_extract_all(text, '{W}'), lambda x: regexp_full_match(x, '\p{{Lu}}{{2,}}'))) AS BIGINT) AS "cast", CAST(len(list_filter(w, lambda x: length(x) = 1)) AS BIGINT) AS nbltrl,
     CAST(len(regexp_extract_all(text, '[#$%&*@|]')) AS BIGINT) AS ncltrl, CAST(len(regexp_extract_all(text, '"[^"]*"')) AS BIGINT) AS nsltrl, CAST(len(regexp_extract_all(text, '[0-9]+')) AS BIGINT) AS nnltrl,
-    CAST(len(list_filter(string_split(text, chr(10)), lambda x: trim(x) = '')) AS BIGINT) AS nnulltrl, CAST(len(list_distinct(regexp_extract_all(text, '{MARK}'))) AS BIGINT) AS op_kinds, CAST(len(list_distinct(w)) AS BIGINT) AS operand_kinds FROM frag)"""
+    CAST(len(list_filter(w, lambda x: regexp_full_match(x, '0+'))) AS BIGINT) AS nnulltrl, CAST(len(list_distinct(regexp_extract_all(text, '{MARK}'))) AS BIGINT) AS op_kinds, CAST(len(list_distinct(w)) AS BIGINT) AS operand_kinds FROM frag)"""
 EXTRA = {"m0": (("frag", "act"), PROSE_SQL), "m": (("m0",), """SELECT *, CASE WHEN hvoc = 0 THEN 0.0 ELSE hdif * (nopr + nand) * log2(hvoc) END AS heff, md5(concat_ws('|', xmet, vref, vdec, nos, nopr, noa, nexp, nand, mdn, "loop", lmet, exct, excr, cref, comp, "cast", nbltrl, ncltrl, nsltrl, nnltrl, nnulltrl, op_kinds, operand_kinds)) AS metric_hash FROM m0""")}
 COLUMNS = ", ".join('round(hdif, 6) AS hdif' if m == "hdif" else 'round(heff, 3) AS heff' if m == "heff" else f'"{m}"' for m in METRICS)
 

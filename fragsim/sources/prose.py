@@ -59,12 +59,12 @@ def prose_fragments(rows: DataFrame, id_col: str, text_col: str, origin: Column
 
 
 def prose_metrics(fragments: DataFrame) -> DataFrame:
-    """Adds the 24 metrics as columns, metric_vec and metric_hash."""
+    """Adds the 24 metrics as columns, metric_vec and metric_hash.  None depends on blanks and line ends, as in the
+    metrics of programs: texts that differ in layout alone have equal hashes."""
     t, w = F.col("text"), F.col("words")
     sized = lambda lo, hi=None: F.filter(w, lambda x: (F.length(x) >= lo) & (F.length(x) <= hi if hi else F.lit(True)))
     size = lambda a: _long(F.size(a))
     marks = F.regexp_extract_all(t, F.lit(MARK), F.lit(0))
-    lines = F.split(t, "\n")
     sentences = F.regexp_extract_all(t, F.lit(SENTENCE), F.lit(0))
     original = F.regexp_extract_all(t, F.lit(WORD), F.lit(0))
     counts = F.map_values("actions")
@@ -78,7 +78,7 @@ def prose_metrics(fragments: DataFrame) -> DataFrame:
         "nexp": count_of(t, "[,;:]") + size(sentences),
         "nand": size(w),
         "mdn": _long(F.coalesce(F.array_max(F.transform(sentences, lambda s: count_of(s, "[,;:]") + 1)), F.lit(0))),
-        "loop": size(lines) - size(F.array_distinct(lines)),
+        "loop": size(sentences) - size(F.array_distinct(F.transform(sentences, lambda x: F.trim(F.regexp_replace(x, r"\s+", " "))))),
         "lmet": size(F.filter(counts, lambda n: n >= 2)),
         "exct": count_of(t, "!"),
         "excr": count_of(t, "[?]"),
@@ -89,7 +89,7 @@ def prose_metrics(fragments: DataFrame) -> DataFrame:
         "ncltrl": count_of(t, r"[#$%&*@|]"),
         "nsltrl": count_of(t, '"[^"]*"'),
         "nnltrl": count_of(t, "[0-9]+"),
-        "nnulltrl": size(F.filter(lines, lambda x: F.trim(x) == "")),
+        "nnulltrl": size(F.filter(w, lambda x: x.rlike("^0+$"))),
         "op_kinds": size(F.array_distinct(marks)),
         "operand_kinds": size(F.array_distinct(w)),
     }

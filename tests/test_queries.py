@@ -13,7 +13,7 @@ CHECKED = (
     "frag_prose_tokens", "frag_markup", "metrics_prose", "metrics_basket", "text_key_groups", "band_edges", "band_assign", "subband_assign", "stop_actions", "overlap_denoms",
     "candidates_55", "candidates_55_bands", "candidates_55_max", "candidates_count_layout", "top_candidates", "ablation_table", "theta_sweep", "hash_clones",
     "clone_classes", "truth_categories", "token_bag_clones", "precision_sample", "auc", "prf", "curate_pairs", "siamese_score_fixed", "asof_activity", "stream_activity_bags", "stream_session_frags",
-    "stream_unique_events", "stream_click_to_purchase", "stream_action_counters", "stream_consecutive_overlap", "stream_incremental",
+    "mutants", "norm_tokenset_clones", "metric_hash_groups", "stream_unique_events", "stream_click_to_purchase", "stream_action_counters", "stream_consecutive_overlap", "stream_incremental",
 )
 
 
