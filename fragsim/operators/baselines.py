@@ -111,6 +111,19 @@ def line_lcs(fragments: DataFrame, min_lines: int = 6, difference_pct: int = 30)
     return _expand(found, members, "similarity", single.select(F.col("fragment_id").alias("class_id"), F.lit(1.0).alias("similarity")))
 
 
+def call_sequence(banded: DataFrame, cfg: DetectConfig, share_pct: int = 55) -> DataFrame:
+    """left_id, right_id, similarity: candidates of the action filter whose actions also agree in their order.
+
+    The contrast to the bag: the longest common subsequence of the actions over the longer side.  It is at most the
+    overlap over the larger bag, so with ``max`` as denominator and the same share the filter loses no pair.
+    """
+    found = prefix_candidates(banded, replace(cfg, denom="max", theta_pct=share_pct, inclusive=True)).select("left_id", "right_id")
+    order = banded.select("fragment_id", F.filter("words", lambda w: F.length(w) >= ACTION_LETTERS).alias("calls"))
+    l_side, r_side = (order.select(F.col("fragment_id").alias(f"{s}_id"), F.col("calls").alias(f"{s}_calls")) for s in ("left", "right"))
+    both = found.join(l_side, "left_id").join(r_side, "right_id").withColumn("similarity", sequence_similarity(F.col("left_calls"), F.col("right_calls")))
+    return both.where(F.col("similarity") * 100 >= share_pct).select("left_id", "right_id", F.round("similarity", 6).alias("similarity"))
+
+
 def structure_vectors(fragments: DataFrame, min_tokens: int = 50, stride: int = 2, theta_pct: int = 85, window: int = 50) -> DataFrame:
     """Pairs with a window each whose vectors of token kinds are near, with their smallest distance.
 
