@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
@@ -53,11 +53,18 @@ def agreement(verdicts: DataFrame) -> DataFrame:
     return row.select("pairs", "both_yes", "both_no", "conflicts", F.round(same * 100, 6).alias("agree_pct"), F.round(kappa, 6).alias("kappa"))
 
 
+def _weight(pred: DataFrame) -> Column:
+    """How many predictions a row stands for: its column ``n``, one where there is none."""
+    return F.col("n") if "n" in pred.columns else F.lit(1)
+
+
 def prf(pred: DataFrame) -> DataFrame:
-    """One row from (label, predicted): accuracy, precision, recall, f1."""
-    n = lambda c: F.sum(F.when(c, 1).otherwise(0)).cast("double")
+    """One row from (label, predicted): accuracy, precision, recall, f1.  Rows may be counted ones, as in all measures
+    of predictions here: a column ``n`` says how many each stands for."""
+    w = _weight(pred)
+    n = lambda c: F.sum(F.when(c, w).otherwise(0)).cast("double")
     yes, pos = F.col("predicted") == 1, F.col("label") == 1
-    row = pred.agg(F.count("*").alias("rows"), n(yes & pos).alias("tp"), n(yes).alias("p"), n(pos).alias("t"), n(yes == pos).alias("ok"))
+    row = pred.agg(F.coalesce(F.sum(w), F.lit(0)).cast("long").alias("rows"), n(yes & pos).alias("tp"), n(yes).alias("p"), n(pos).alias("t"), n(yes == pos).alias("ok"))
     p, r = F.col("tp") / F.col("p"), F.col("tp") / F.col("t")
     return row.select("rows", F.round(F.col("ok") / F.col("rows"), 6).alias("accuracy"), F.round(p, 6).alias("precision"), F.round(r, 6).alias("recall"), F.round(2 * p * r / (p + r), 6).alias("f1"))
 
@@ -67,7 +74,7 @@ def roc_points(pred: DataFrame) -> DataFrame:
 
     Ties are one point.  The running sums go over distinct scores: round scores to keep those few.
     """
-    by = pred.groupBy("score").agg(F.sum("label").cast("long").alias("pos"), F.count("*").alias("n"))
+    by = pred.groupBy("score").agg(F.sum(F.col("label") * _weight(pred)).cast("long").alias("pos"), F.sum(_weight(pred)).cast("long").alias("n"))
     run = Window.orderBy(F.desc("score")).rowsBetween(Window.unboundedPreceding, 0)
     whole = by.agg(F.sum("pos").alias("all_pos"), F.sum("n").alias("all_n"))
     cum = by.withColumn("tp", F.sum("pos").over(run)).withColumn("seen", F.sum("n").over(run)).crossJoin(F.broadcast(whole))
@@ -76,7 +83,7 @@ def roc_points(pred: DataFrame) -> DataFrame:
 
 def auc(pred: DataFrame) -> DataFrame:
     """One row: the chance that a positive outranks a negative, ties counting half."""
-    by = pred.groupBy("score").agg(F.sum("label").cast("long").alias("pos"), F.count("*").alias("n"))
+    by = pred.groupBy("score").agg(F.sum(F.col("label") * _weight(pred)).cast("long").alias("pos"), F.sum(_weight(pred)).cast("long").alias("n"))
     below = F.coalesce(F.sum(F.col("n") - F.col("pos")).over(Window.orderBy("score").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
     parts = by.withColumn("wins", F.col("pos") * (below * 2 + F.col("n") - F.col("pos")))
     return parts.agg(F.round(F.sum("wins") / (F.lit(2.0) * F.sum("pos") * F.sum(F.col("n") - F.col("pos"))), 6).alias("auc"))
@@ -84,7 +91,8 @@ def auc(pred: DataFrame) -> DataFrame:
 
 def binary_cross_entropy(pred: DataFrame) -> DataFrame:
     p = F.least(F.greatest(F.col("score"), F.lit(1e-12)), F.lit(1 - 1e-12))
-    return pred.agg(F.round(F.avg(F.when(F.col("label") == 1, -F.log(p)).otherwise(-F.log(1 - p))), 6).alias("loss"))
+    each = F.when(F.col("label") == 1, -F.log(p)).otherwise(-F.log(1 - p))
+    return pred.agg(F.round(F.sum(each * _weight(pred)) / F.sum(_weight(pred)), 6).alias("loss"))
 
 
 def detector_matrix(detected: dict[str, DataFrame]) -> DataFrame:
