@@ -104,3 +104,11 @@ def test_counted_rows_give_the_measures_of_single_ones(spark):
         assert sorted(map(tuple, measure(single).collect())) == sorted(map(tuple, measure(counted).collect()))
     yes = (F.col("score") > 0.5).cast("int").alias("predicted")
     assert M.prf(single.select("label", yes)).collect() == M.prf(counted.select("label", yes, "n")).collect()
+
+
+def test_loss_of_counted_predictions_equals_sql(spark, sf):
+    import duckdb
+
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW documents AS SELECT * FROM read_parquet('{sf}/documents.parquet')")
+    assert registry.QUERIES["bce_loss"](spark, sf).first()[0] == pytest.approx(con.execute(registry.SQL["bce_loss"]).fetchone()[0], abs=1e-6)
