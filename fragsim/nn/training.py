@@ -12,6 +12,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from fragsim.nn.network import Network, cross_entropy
+from fragsim.sources.tables import staged
 
 
 def pair_key(seed: int) -> Column:
@@ -41,7 +42,8 @@ def curate(fragments: DataFrame, clones: DataFrame, n_pos: int, n_neg: int, seed
     Positives come from a labelling detector; negatives are random pairs (or the given ones, such as
     survivors of the action filter) that the detector does not report.
     """
-    pos = clones.select("left_id", "right_id").distinct()
+    # Both samples read the clones: the detector behind them runs once.
+    pos = staged(clones.select("left_id", "right_id").distinct(), "clones")
     pool = random_pairs(fragments, seed) if negatives is None else negatives.select("left_id", "right_id").distinct()
     neg = pool.join(pos, ["left_id", "right_id"], "left_anti")
     take = lambda df, n, y: df.withColumn("k", pair_key(seed)).orderBy("k", "left_id", "right_id").limit(n).withColumn("is_clone", F.lit(y))
