@@ -52,7 +52,10 @@ def expand(pairs: DataFrame, members: DataFrame) -> DataFrame:
 
 
 def with_sides(pairs: DataFrame, fragments: DataFrame, *columns: str) -> DataFrame:
-    """Joins columns of both fragments as l_<column> and r_<column>."""
+    """Joins columns of both fragments as l_<column> and r_<column>; those that the pairs brought along are there already."""
+    columns = tuple(c for c in columns if f"l_{c}" not in pairs.columns)
+    if not columns:
+        return pairs
     l_side = fragments.select(F.col("fragment_id").alias("left_id"), *(F.col(c).alias(f"l_{c}") for c in columns))
     r_side = fragments.select(F.col("fragment_id").alias("right_id"), *(F.col(c).alias(f"r_{c}") for c in columns))
     return pairs.join(l_side, "left_id").join(r_side, "right_id")
