@@ -313,7 +313,7 @@ def _toy(i, j, layer):
 @query("logistic_score_fixed", _DET.replace("{}", "SELECT l AS left_id, r AS right_id, round(1 / (1 + exp(-(" + " + ".join(f"{_toy(i + 1 + 4 * s, 1, 0)} * least({t}.{m}, 9)" for s, t in enumerate("ab") for i, m in enumerate(_CLIP)) + f" + {_toy(0, 1, 0)}) / 10.0)), 6) AS score FROM det JOIN m a ON a.id = l JOIN m b ON b.id = r"))
 def logistic_score_fixed(spark, d):
     """Whole-number weights from a formula; the network in numpy over Arrow."""
-    found, f = _candidates(spark, d)
+    found, f = _candidates(spark, d, *_CLIP)
     sided = P.with_sides(found, f, *_CLIP)
     x = F.array(*(F.least(F.col(f"{s}_{m}"), F.lit(9)).cast("double") for s in "lr" for m in _CLIP))
     w = np.array([[_toy(i + 1, 1, 0) / 10.0] for i in range(8)])
