@@ -298,7 +298,7 @@ def _candidates(spark, d, *keep):
 
 @query("pair_vectors", _DET.replace("{}", 'SELECT l AS left_id, r AS right_id, CAST(a.nos AS DOUBLE) AS x3, CAST(b.nos AS DOUBLE) AS x27, CAST(a.nand AS DOUBLE) AS x7, CAST(b.nand AS DOUBLE) AS x31, 48 AS width FROM det JOIN m a ON a.id = l JOIN m b ON b.id = r'))
 def pair_vectors(spark, d):
-    found, f = _candidates(spark, d)
+    found, f = _candidates(spark, d, "metric_vec")
     x = P.pair_vectors(found, f)
     return x.select("left_id", "right_id", *(F.get("x", F.lit(i)).alias(f"x{i}") for i in (3, 27, 7, 31)), F.size("x").alias("width"))
 
