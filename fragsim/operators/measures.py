@@ -21,10 +21,11 @@ def recall_by_class(detected: DataFrame, truth: DataFrame) -> DataFrame:
     return out.withColumn("recall_pct", F.round(F.col("found") * 100 / F.col("tagged"), 6))
 
 
-def precision_sample(detected: DataFrame, n: int = 400, seed: int = 11) -> DataFrame:
-    """A blind sample: n pairs in the order of a seeded MD5, without the detector's name."""
+def precision_sample(detected: DataFrame, n: int = 400, seed: int = 11, single: bool = False) -> DataFrame:
+    """A blind sample: n pairs in the order of a seeded MD5, without the detector's name.  ``single``: each pair comes once
+    and with the smaller identifier first, so none is shuffled to find that out."""
     key = F.md5(F.concat_ws("|", F.lit(str(seed)), F.col("left_id").cast("string"), F.col("right_id").cast("string")))
-    return unordered(detected).withColumn("key", key).orderBy("key").limit(n).select("left_id", "right_id")
+    return (detected.select("left_id", "right_id") if single else unordered(detected)).withColumn("key", key).orderBy("key").limit(n).select("left_id", "right_id")
 
 
 def sample_size(confidence: float = 0.95, margin: float = 0.05) -> int:
