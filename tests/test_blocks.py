@@ -145,7 +145,7 @@ def test_prefix_search_brings_columns_and_common_actions_along(spark, monkeypatc
 
 
 #: Queries whose pairs leave the search with all that is asked of them.
-IN_TASKS = ["candidates_55_max", "candidates_count_layout", "detect_fixed_weights", "explain_shared", "hash_clones", "logistic_score_fixed", "pair_vectors", "precision_sample"]
+IN_TASKS = ["candidates_55_max", "candidates_count_layout", "detect_fixed_weights", "explain_shared", "hash_clones", "logistic_score_fixed", "pair_vectors", "precision_sample", "prefix_candidates"]
 
 
 @pytest.mark.parametrize("name", IN_TASKS)
