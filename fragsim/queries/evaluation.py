@@ -340,18 +340,23 @@ def _toy_sql():
 
 @query("siamese_score_fixed", _DET.replace("{}", _toy_sql()))
 def siamese_score_fixed(spark, d):
-    """A 4-3 twin network with whole-number weights: relational forward pass, checked against numpy."""
-    found, f = _candidates(spark, d)
+    """A 4-3 twin network with whole-number weights: relational forward pass, checked against numpy.
+
+    The clipped metrics of a pair are one number of eight digits; each number is scored once, whatever pairs have it.
+    """
+    found, f = _candidates(spark, d, *_CLIP)
     net, shapes = toy_network()
     rows = [(k, i, j + 1, _toy(i, j + 1, k)) for k, (a, b) in enumerate(shapes) for i in range(a + 1) for j in range(b)]
     weights = spark.createDataFrame(rows, "layer int, i int, j int, w long")
     sided = P.with_sides(found, f, *_CLIP)
-    value = F.array(*(F.struct(F.lit(s).alias("side"), F.lit(i + 1).alias("j"), F.least(F.col(f"{p}_{m}"), F.lit(9)).cast("long").alias("v")) for s, p in enumerate("lr") for i, m in enumerate(_CLIP)))
-    inputs = sided.select(F.struct("left_id", "right_id").alias("pair_id"), F.explode(value).alias("e")).select("pair_id", "e.*")
-    by_sql = score_sql(inputs, weights, 3, 1).select("pair_id.*", "z")
-    x = F.array(*(F.least(F.col(f"{s}_{m}"), F.lit(9)).cast("double") for s in "lr" for m in _CLIP))
-    by_net = score(sided.select("left_id", "right_id", x.alias("x")), net)
-    both = by_sql.join(by_net, ["left_id", "right_id"])
+    code = sum(F.least(F.col(f"{p}_{m}"), F.lit(9)).cast("long") * 10 ** (i + 4 * s) for s, p in enumerate("lr") for i, m in enumerate(_CLIP))
+    pairs = staged(sided.select("left_id", "right_id", code.alias("pair_id")), "coded")
+    codes = staged(pairs.select("pair_id").distinct(), "codes")
+    digit = lambda k: F.floor(F.col("pair_id") / 10**k).cast("long") % 10
+    value = F.array(*(F.struct(F.lit(k // 4).alias("side"), F.lit(k % 4 + 1).alias("j"), digit(k).alias("v")) for k in range(8)))
+    by_sql = score_sql(codes.select("pair_id", F.explode(value).alias("e")).select("pair_id", "e.*"), weights, 3, 1)
+    by_net = score(codes.select("pair_id", F.array(*(digit(k).cast("double") for k in range(8))).alias("x")), net)
+    both = pairs.join(by_sql.join(by_net, "pair_id"), "pair_id")
     return both.select("left_id", "right_id", "z", (F.abs(1 / (1 + F.exp(-F.least(F.greatest(F.col("z"), F.lit(-60)), F.lit(60)).cast("double"))) - F.col("score")) < 1e-9).alias("same"))
 
 
