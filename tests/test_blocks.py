@@ -173,6 +173,15 @@ def test_rows_that_meet_hold_no_data(spark, monkeypatch, shared):
     assert len(got) == len(want) > 0 and set(got) == want
 
 
+@pytest.mark.parametrize("name", ["candidates_count_layout", "prefix_candidates"])
+def test_queries_pair_names_of_blocks(spark, sf, monkeypatch, name):
+    kinds = []
+    whole = K.block_pairs
+    monkeypatch.setattr(K, "block_pairs", lambda *a: kinds.append(whole(*a)) or kinds[-1])
+    found = registry.QUERIES[name](spark, sf)
+    assert [kinds[0].schema[c].dataType.simpleString() for c in "xy"] == ["string", "string"] and found.count() > 0
+
+
 def test_forest_connects_what_pairs_connect(spark, monkeypatch):
     from fragsim.operators import pairs as P
 
