@@ -86,12 +86,19 @@ def percent(overlap, left, right, left_size, right_size, tagged, denom: str):
     return 2 * (100 * overlap // share_of(left, right, overlap, denom)) + tagged
 
 
-def theta_sweep_tags(banded: DataFrame, tag: str, cfg: DetectConfig, thetas: range = range(50, 101, 5)) -> DataFrame:
+def theta_sweep_tags(banded: DataFrame, tag: str, cfg: DetectConfig, thetas: range = range(50, 101, 5), prefix: bool = False) -> DataFrame:
     """``theta_sweep`` over all meetings where two fragments are a tagged pair if they have the same ``tag`` (a long; null
-    for none): neither the meetings nor the tagged pairs become rows."""
+    for none): neither the meetings nor the tagged pairs become rows.
+
+    No pair below the least threshold is counted, so with ``prefix`` only those at or above it are searched for: much
+    less work where few meetings reach it, more where most do.
+    """
     if cfg.denom == "query":
         raise ValueError("the share of a query has two values for a pair")
-    counted = tally(banded, cfg, partial(percent, denom=cfg.denom), tag=tag)
+    if prefix:
+        cfg = replace(cfg, theta_pct=min(thetas), inclusive=True)
+        A.prefix_able(cfg)
+    counted = tally(banded, cfg, partial(percent, denom=cfg.denom), tag=tag, prefix=prefix)
     pct, n = F.floor(F.col("code") / 2), F.col("n")
     of = lambda c: F.coalesce(F.sum(F.when(c, n)), F.lit(0))
     row = counted.agg(*(a for t in thetas for a in (of(pct >= t).alias(f"d{t}"), of((pct >= t) & (F.col("code") % 2 == 1)).alias(f"f{t}"))))
