@@ -91,11 +91,34 @@ class Network:
         return cross_entropy(p, y), out[::-1]
 
     def predict(self, x: np.ndarray, symmetry: str = "concat") -> np.ndarray:
+        if self.twin and len(x):
+            return self._twin(x, symmetry)
         p = self.forward(x)[0]
         if symmetry == "average":
             p = (p + self.forward(np.concatenate([x[:, self.inputs :], x[:, : self.inputs]], axis=1))[0]) / 2
         return p
 
+    def _twin(self, x: np.ndarray, symmetry: str) -> np.ndarray:
+        """What ``forward`` says, with each distinct half of the rows taken through the trunk, and through its part of the
+        first layer after it, once for all its pairs and both orders."""
+        n, k = len(self.trunk), len(x)
+        halves = np.ascontiguousarray(np.concatenate([x[:, : self.inputs], x[:, self.inputs :]]))
+        _, one, at = np.unique(halves.view(f"V{halves.itemsize * halves.shape[1]}").ravel(), return_index=True, return_inverse=True)
+        h = halves[one]
+        for w, b in self.weights[:n]:
+            h = np.maximum(h @ w + b, 0)
+        first, bias = self.weights[n]
+        left, right = h @ first[: h.shape[1]], h @ first[h.shape[1] :]
+
+        def rest(i: np.ndarray, j: np.ndarray) -> np.ndarray:
+            z = left[i] + right[j] + bias
+            for w, b in self.weights[n + 1 :]:
+                z = np.maximum(z, 0) @ w + b
+            return 1 / (1 + np.exp(-np.clip(z[:, 0], -60, 60)))
+
+        p = rest(at[:k], at[k:])
+        return (p + rest(at[k:], at[:k])) / 2 if symmetry == "average" else p
+
 
 @dataclass
 class Scaled:
